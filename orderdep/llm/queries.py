@@ -6,8 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam
+from . import decontam, packing, token_codes
 from .common import table
+from .tokens import tokenizer_path
 
 SQL: dict[str, str] = {}
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -34,3 +35,19 @@ SELECT d.doc_id, CAST(len(d.w) AS BIGINT) AS n_words, coalesce(hits.n_hit, 0) AS
        sha256(coalesce(its.ids, '')) AS items_sha256, coalesce(hits.n_hit, 0) > 0 AS contaminated
 FROM d LEFT JOIN hits USING (doc_id) LEFT JOIN its USING (doc_id)
 """
+
+
+def op4_token_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every text as directly addressable codes, written, read back and digested."""
+    return token_codes.document_digests(token_codes.written(table(spark, sf_dir, "documents"), tokenizer_path("word_bpe_49k.json"), 2))
+
+
+QUERIES["op4_token_codes"] = op4_token_codes
+
+
+def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents packed into sequences of 1024 byte-level tokens."""
+    return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"), 0)
+
+
+QUERIES["op5_packing"] = op5_packing
