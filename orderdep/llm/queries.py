@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import decontam, packing, token_codes
+from . import decontam, packing, simhash, token_codes
 from .common import table
 from .tokens import tokenizer_path
 
@@ -51,3 +52,12 @@ def op5_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op5_packing"] = op5_packing
+
+
+def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Components of all documents whose 3-word SimHash fingerprints differ in at most 3 bits."""
+    found = simhash.near_duplicates(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+QUERIES["op9_simhash"] = op9_simhash
