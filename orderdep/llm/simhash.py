@@ -66,11 +66,15 @@ def lookups(nodes: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) ->
     bits = 64 // segments
     masks = [sum(1 << k for k in ks) for r in range(radius // segments + 1) for ks in combinations(range(bits), r)]
     masks = [m - (1 << 64) if m >= 1 << 63 else m for m in masks]
+
+    def reaches(mask):
+        return (mask == 0) | (mask.bitwiseAND(-mask).bitwiseAND(F.col("value")) != 0)
+
     tables = []
     for s in range(segments):
         value = F.shiftrightunsigned("fp", s * bits).bitwiseAND(F.lit((1 << bits) - 1 if bits < 64 else -1))
-        ball = F.filter(F.array(*[F.lit(m).cast("long") for m in masks]), lambda m, value=value: (m == 0) | (m.bitwiseAND(-m).bitwiseAND(value) != 0))
-        tables.append(nodes.select("fp", value.alias("value"), F.explode(ball).alias("mask")).select(F.lit(s).alias("segment"), F.col("value").bitwiseXOR(F.col("mask")).alias("entry"), (F.col("mask") == 0).alias("home"), "fp"))
+        ball = nodes.select("fp", value.alias("value")).withColumn("mask", F.explode(F.filter(F.array(*[F.lit(m).cast("long") for m in masks]), reaches)))
+        tables.append(ball.select(F.lit(s).alias("segment"), F.col("value").bitwiseXOR(F.col("mask")).alias("entry"), (F.col("mask") == 0).alias("home"), "fp"))
     out = tables[0]
     for t in tables[1:]:
         out = out.union(t)
