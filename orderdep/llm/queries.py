@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, packing, simhash, token_codes
+from . import decontam, packing, sharding, simhash, token_codes
 from .common import table
 from .tokens import tokenizer_path
 
@@ -61,3 +61,11 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op9_simhash"] = op9_simhash
+
+
+def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All documents in 24 shards of near equal bytes, equal texts together."""
+    return sharding.shard(table(spark, sf_dir, "documents"), 24)
+
+
+QUERIES["op3_sharding"] = op3_sharding
