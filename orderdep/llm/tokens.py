@@ -5,12 +5,14 @@ from __future__ import annotations
 import json
 import re
 from array import array
+from unicodedata import is_normalized
 
 import numpy as np
 
 #: Pieces kept by a worker's cache; it starts anew when full.
-CACHE_PIECES = 300_000
+CACHE_PIECES = 800_000
 _LONG = 48
+_SIGNS = frozenset(".,;:!?|$%&#*")
 
 
 def tokenizer_path(name: str) -> str:
@@ -19,14 +21,34 @@ def tokenizer_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def _byte_letters() -> dict[int, str]:
+    """The character that stands for each byte in byte-level vocabularies: printable ones for themselves, the others from 256 on."""
+    own = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+    rest = [b for b in range(256) if b not in own]
+    return {b: chr(b) for b in own} | {b: chr(256 + k) for k, b in enumerate(rest)}
+
+
 class _Pieces(dict):
     """text piece -> its ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, tokenizer, prefix: str):
-        self.tokenizer, self.prefix = tokenizer, prefix
+    def __init__(self, tokenizer, prefix: str, normalized: bool):
+        self.tokenizer, self.model, self.prefix, self.normalized = tokenizer, tokenizer.model, prefix, normalized
+        self.letters = _byte_letters()
+        self.lead = (prefix.encode().decode("latin-1")).translate(self.letters)
+        self.signs = self
+
+    def _ids(self, piece: str) -> bytes:
+        if not piece and not self.prefix:
+            return b""
+        if len(piece) > 2 and piece[-1] in _SIGNS and piece[-2].isalpha():  # a word and the one sign behind it never share a token
+            return self[piece[:-1]] + self.signs[piece[-1]]
+        if piece.isalpha() and (not self.normalized or (piece.islower() if piece.isascii() else piece == piece.lower() and is_normalized("NFC", piece))):
+            word = piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.letters)
+            return array("I", [t.id for t in self.model.tokenize(self.lead + word)]).tobytes()
+        return array("I", self.tokenizer.encode(self.prefix + piece, add_special_tokens=False).ids).tobytes()
 
     def __missing__(self, piece: str) -> bytes:
-        ids = array("I", self.tokenizer.encode(self.prefix + piece, add_special_tokens=False).ids).tobytes() if piece or self.prefix else b""
+        ids = self._ids(piece)
         if len(piece) <= _LONG:
             if len(self) >= CACHE_PIECES:
                 self.clear()
@@ -59,7 +81,8 @@ class TextEncoder:
         spaces_dropped = any(p.get("type") == "Split" and p.get("behavior") == "Removed" and p.get("invert") for p in parts) and norm is not None
         spaces_lead = norm is None and pre.get("type") == "ByteLevel" and pre.get("use_regex") and not pre.get("add_prefix_space")
         self.kind = "dropped" if spaces_dropped else "leading" if spaces_lead else "whole"
-        self.first, self.other = _Pieces(self.tokenizer, ""), _Pieces(self.tokenizer, " ")
+        self.first, self.other = _Pieces(self.tokenizer, "", norm is not None), _Pieces(self.tokenizer, " ", norm is not None)
+        self.other.signs = self.first
 
     def encode(self, text: str | None) -> bytes:
         if not text:
