@@ -7,8 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, packing, sharding, simhash, token_codes
-from .common import table
+from . import decontam, packing, robust_rules, sharding, simhash, token_codes
+from .common import own, table
 from .tokens import tokenizer_path
 
 SQL: dict[str, str] = {}
@@ -69,3 +69,13 @@ def op3_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op3_sharding"] = op3_sharding
+
+
+def op10_robust_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Base counts of every document and the verdict of its language's and source's robust estimate."""
+    found = robust_rules.judged(table(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source"), with_text=False)
+    names = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "distance")
+    return found.select("doc_id", *[F.col(own(n)).alias(n) for n in names])
+
+
+QUERIES["op10_robust_rules"] = op10_robust_rules
