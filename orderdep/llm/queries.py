@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, packing, robust_rules, sharding, simhash, token_codes
+from . import decontam, packing, robust_rules, sharding, simhash, suffix_dedup, token_codes
 from .common import own, table
 from .tokens import tokenizer_path
 
@@ -79,3 +79,11 @@ def op10_robust_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op10_robust_rules"] = op10_robust_rules
+
+
+def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document without the bytes of 200-byte strings that start twice or more in all documents."""
+    return suffix_dedup.removal(table(spark, sf_dir, "documents")).drop("spans")
+
+
+QUERIES["op8_suffix_dedup"] = op8_suffix_dedup
