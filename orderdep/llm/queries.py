@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, packing, robust_rules, sharding, simhash, suffix_dedup, token_codes
+from . import backoff_lm, decontam, packing, pseudonyms, robust_rules, sharding, simhash, suffix_dedup, token_codes
 from .common import own, table
 from .tokens import tokenizer_path
 
@@ -87,3 +87,44 @@ def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op8_suffix_dedup"] = op8_suffix_dedup
+
+
+def op6_backoff_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Stupid-backoff score of every document under the bigram counts of all documents."""
+    found = backoff_lm.scores(table(spark, sf_dir, "documents"))
+    return found.select("doc_id", "n_words", F.round("log_score", 4).alias("log_score"), F.round("mean_log_score", 6).alias("mean_log_score"))
+
+
+QUERIES["op6_backoff_lm"] = op6_backoff_lm
+SQL["op6_backoff_lm"] = r"""
+WITH d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+t AS (SELECT doc_id, i, w[i] AS b, CASE WHEN i > 1 THEN w[i - 1] END AS a FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM d)),
+words AS (SELECT b AS word, count(*) AS n FROM t GROUP BY b),
+levels AS (SELECT n, sum(count(*)) OVER (ORDER BY n DESC) AS have FROM words GROUP BY n),
+v AS (SELECT word, n FROM words WHERE n >= (SELECT min(n) FROM levels WHERE have <= 65000)),
+totals AS (SELECT count(*) AS n FROM t),
+unknown AS (SELECT greatest(1, (SELECT n FROM totals) - (SELECT coalesce(sum(n), 0) FROM v)) AS n),
+starts AS (SELECT count(*) AS n FROM d WHERE len(w) > 0),
+g AS (SELECT doc_id, coalesce(y.word, '<unk>') AS b, coalesce(y.n, (SELECT n FROM unknown)) AS nb,
+             CASE WHEN t.a IS NULL THEN '<start>' ELSE coalesce(x.word, '<unk>') END AS a,
+             CASE WHEN t.a IS NULL THEN (SELECT n FROM starts) ELSE coalesce(x.n, (SELECT n FROM unknown)) END AS na
+      FROM t LEFT JOIN v AS y ON t.b = y.word LEFT JOIN v AS x ON t.a = x.word),
+c AS (SELECT a, b, count(*) AS n FROM g GROUP BY a, b),
+s AS (SELECT doc_id, count(*) AS n_words, sum(CASE WHEN c.n >= 2 THEN ln(c.n) - ln(na) ELSE ln(0.4) + ln(nb) - ln((SELECT n FROM totals)) END) AS log_score
+      FROM g JOIN c ON g.a = c.a AND g.b = c.b GROUP BY doc_id)
+SELECT d.doc_id, coalesce(s.n_words, 0) AS n_words, round(coalesce(s.log_score, 0), 4) AS log_score, round(s.log_score / s.n_words, 6) AS mean_log_score
+FROM d LEFT JOIN s USING (doc_id)
+"""
+
+
+#: The key of these queries; a real run passes its own, kept secret.
+EXAMPLE_KEY = b"example key of the registered queries"
+
+
+def op2_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document with pseudonyms for its personal data and secrets."""
+    found = pseudonyms.pseudonymise(table(spark, sf_dir, "documents").select("doc_id", "text"), EXAMPLE_KEY, kinds_col="kinds")
+    return found.select("doc_id", "text", F.size("kinds").cast("long").alias("n_replaced"), F.array_join(F.array_sort(F.array_distinct("kinds")), ",").alias("kinds"))
+
+
+QUERIES["op2_pseudonyms"] = op2_pseudonyms
