@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import backoff_lm, decontam, packing, pseudonyms, robust_rules, sharding, simhash, suffix_dedup, token_codes
+from . import backoff_lm, decontam, ordinal_quality, packing, pseudonyms, robust_rules, sharding, simhash, suffix_dedup, token_codes
 from .common import own, table
 from .tokens import tokenizer_path
 
@@ -128,3 +128,13 @@ def op2_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op2_pseudonyms"] = op2_pseudonyms
+
+
+def op7_ordinal_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Grades of all documents by a model of the labels (0 toxic, 1 low quality, 2 good); kept where 1 or 2 is likelier than 0."""
+    docs = table(spark, sf_dir, "documents")
+    ratings = table(spark, sf_dir, "labels").select("doc_id", ordinal_quality.graded(F.col("quality"), F.col("toxic")).alias("grade"))
+    return ordinal_quality.grade(docs, ordinal_quality.train(docs, ratings, 3), tail=1)
+
+
+QUERIES["op7_ordinal_quality"] = op7_ordinal_quality
