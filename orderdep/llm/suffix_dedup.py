@@ -27,15 +27,19 @@ from .common import discard, stored
 from .window_sieve import runs
 
 LENGTH = 200
-#: Bytes that are suffix-sorted together; three ranks and codes must fit 63 bits.
+#: Codes that are suffix-sorted together at most: three names of the first recursion must fit 63 bits.
+MOST_CODES = 3_000_000
+#: Bytes after which a buffer of whole keys is suffix-sorted.
 BUFFER = 1 << 19
-#: Different runs of a key beyond which its windows are counted one by one.
-CROWD = 128
+#: Different runs of a key (of at most 368 bytes) beyond which its windows are counted one by one.
+CROWD = 6000
 _NO_ID = -(1 << 63)
 
 
 def suffix_array(codes: np.ndarray) -> np.ndarray:
-    """Suffix order of an array of codes of 1 or more, by a difference cover modulo 3.  Up to 2**20 codes."""
+    """Suffix order of an array of codes of 1 or more, by a difference cover modulo 3."""
+    if len(codes) > MOST_CODES:
+        raise ValueError(f"more than {MOST_CODES} codes")
     n = len(codes)
     if n < 2:
         return np.arange(n)
@@ -179,8 +183,9 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH) -> tuple[DataFrame, Da
     mixed = hits.where("mixed")
     contents = mixed.groupBy("anchor", "content").agg(F.sum(times).alias("copies"), F.min(F.struct("did", "th", F.col("n"), F.get("starts", F.lit(0)).alias("start"))).alias("at"))
     contents = stored(contents, "suffix-contents")
-    crowds = contents.groupBy("anchor").agg((F.count("*") > CROWD).alias("crowded"))
-    picks = contents.join(crowds, "anchor").groupBy(F.col("at.did").alias("did"), F.col("at.th").alias("th")).agg(F.collect_list(F.struct("anchor", "content", "crowded", F.col("at.start").alias("start"), F.col("at.n").alias("n"))).alias("picks"))
+    crowds = stored(contents.groupBy("anchor").agg(F.count("*").alias("c")).where(F.col("c") > CROWD).select("anchor", F.lit(True).alias("crowded")), "suffix-crowds")
+    told = contents.join(crowds, "anchor", "left").withColumn("crowded", F.coalesce("crowded", F.lit(False)))
+    picks = told.groupBy(F.col("at.did").alias("did"), F.col("at.th").alias("th")).agg(F.collect_list(F.struct("anchor", "content", "crowded", F.col("at.start").alias("start"), F.col("at.n").alias("n"))).alias("picks"))
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
