@@ -22,6 +22,7 @@ from functools import lru_cache
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql.types import ArrayType, StringType, StructField, StructType
 
 ROUNDS = 8
 _DIGITS, _LOWER, _UPPER = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -285,5 +286,5 @@ def pseudonymise(docs: DataFrame, key: bytes, *, kinds_col: str | None = None) -
 
     schema = docs.schema
     if kinds_col:
-        schema = docs.select("*").schema.add(kinds_col, "array<string>")
+        schema = StructType([*schema.fields, StructField(kinds_col, ArrayType(StringType()))])
     return docs.mapInArrow(run, schema)
