@@ -15,10 +15,11 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import own, stored
 from .components import components
 
 RADIUS = 3
@@ -27,6 +28,12 @@ _LOWER = bytes(b + 32 if 0x41 <= b <= 0x5A else b for b in range(256))
 _ROWS = 1 << 15
 
 
+def shingle_hashes(text: bytes, size: int) -> np.ndarray:
+    """The different 64-bit hashes of a text's shingles (all its words where it has fewer)."""
+    joined, firsts, ends = shingle_spans(text, size)
+    return np.unique(np.fromiter((xxhash.xxh3_64_intdigest(joined[a:b]) for a, b in zip(firsts.tolist(), ends.tolist())), np.uint64, len(firsts)))
+
+
 def shingle_spans(text: bytes, size: int) -> tuple[bytes, np.ndarray, np.ndarray]:
     """Words in lower case (A-Z) joined by spaces, with the first and end byte of every shingle."""
     words = text.translate(_LOWER).split()
@@ -36,8 +43,13 @@ def shingle_spans(text: bytes, size: int) -> tuple[bytes, np.ndarray, np.ndarray
     return b" ".join(words), firsts[:n], ends[-n:] if n else ends
 
 
-def fingerprint(text: bytes, size: int, seed: int = 42) -> int:
-    """Signed 64-bit fingerprint: a bit is set where over half of the shingles' hashes have it; no words: zero."""
+def fingerprint(text: bytes, size: int, seed: int = 42, once: bool = False) -> int:
+    """Signed 64-bit fingerprint: a bit is set where over half of the shingles' hashes have it; no words: zero.
+
+    ``once`` lets a repeated word count once (for size 1).
+    """
+    if once:
+        text = b" ".join(set(text.translate(_LOWER).split()))
     joined, firsts, ends = shingle_spans(text, size)
     n, digest = len(firsts), xxhash.xxh64_digest
     if not n:
@@ -49,12 +61,12 @@ def fingerprint(text: bytes, size: int, seed: int = 42) -> int:
     return int.from_bytes(np.packbits(2 * counts > n).tobytes(), "big", signed=True)
 
 
-def fingerprints(docs: DataFrame, *, shingle_words: int = 3, seed: int = 42) -> DataFrame:
+def fingerprints(docs: DataFrame, *, shingle_words: int = 3, seed: int = 42, once: bool = False) -> DataFrame:
     """(doc_id, fp long).  Null text: no words, fingerprint zero."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([fingerprint(t.as_py() or b"", shingle_words, seed) for t in b.column(1)], pa.int64())], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([fingerprint(t.as_py() or b"", shingle_words, seed, once) for t in b.column(1)], pa.int64())], names=["doc_id", "fp"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text")).mapInArrow(run, "doc_id long, fp long")
 
@@ -82,7 +94,10 @@ def lookups(nodes: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) ->
 
 
 def forest(fps: np.ndarray, home: np.ndarray, radius: int) -> list[tuple[int, int]]:
-    """A spanning forest of the true links among those who meet at an entry, grown from each node at home there."""
+    """A spanning forest of the true links among those who meet at an entry, grown from each node at home there.
+
+    Every tree takes the closest open node next, so its edges are the shortest that hold it together.
+    """
     bits = fps.view(np.uint64)
     open_ = np.ones(len(fps), bool)
     out: list[tuple[int, int]] = []
@@ -90,14 +105,20 @@ def forest(fps: np.ndarray, home: np.ndarray, radius: int) -> list[tuple[int, in
         if not open_[start]:
             continue
         open_[start] = False
-        queue, left = [start], np.flatnonzero(open_)
-        while queue and len(left):
-            u = queue.pop()
-            near = np.bitwise_count(bits[left] ^ bits[u]) <= radius
-            reached, left = left[near], left[~near]
-            open_[reached] = False
-            out += [(int(fps[u]), int(fps[v])) for v in reached]
-            queue += reached.tolist()
+        left = np.flatnonzero(open_)
+        gap = np.bitwise_count(bits[left] ^ bits[start])
+        by = np.full(len(left), start)
+        while len(left):
+            k = int(gap.argmin())
+            if gap[k] > radius:
+                break
+            v = int(left[k])
+            out.append((int(fps[by[k]]), int(fps[v])))
+            open_[v] = False
+            left, gap, by = np.delete(left, k), np.delete(gap, k), np.delete(by, k)
+            new = np.bitwise_count(bits[left] ^ bits[v])
+            closer = new < gap
+            gap[closer], by[closer] = new[closer], v
     return out
 
 
@@ -137,16 +158,82 @@ def links(nodes: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> D
     return rows.mapInArrow(meet, "a long, b long")
 
 
-def classes(prints: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> DataFrame:
-    """prints (doc_id, fp) -> (fp, component_id): the smallest doc_id that links reach from each fingerprint."""
-    nodes = stored(prints.groupBy("fp").agg(F.min("doc_id").alias("first_doc")), "simhash-nodes")
-    roots = components(links(nodes.select("fp"), radius, segments))
-    member = nodes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+def grouped(nodes: DataFrame, edges: DataFrame) -> DataFrame:
+    """nodes (fp, first_doc), edges (a, b) -> (fp, component_id): the smallest doc_id reached from each fingerprint."""
+    member = nodes.join(components(edges).withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     lowest = member.groupBy("root").agg(F.min("first_doc").alias("component_id"))
     return member.join(lowest, "root").select("fp", "component_id")
 
 
+def classes(prints: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> DataFrame:
+    """prints (doc_id, fp) -> (fp, component_id)."""
+    nodes = stored(prints.groupBy("fp").agg(F.min("doc_id").alias("first_doc")), "simhash-nodes")
+    return grouped(nodes, links(nodes.select("fp"), radius, segments))
+
+
 def near_duplicates(docs: DataFrame, *, shingle_words: int = 3, radius: int = RADIUS, segments: int = SEGMENTS) -> DataFrame:
     """One row per document: doc_id, fp long, component_id."""
     prints = stored(fingerprints(docs, shingle_words=shingle_words), "simhash-prints")
     return prints.join(classes(prints, radius, segments), "fp").select("doc_id", "fp", "component_id")
+
+
+#: For near duplicates by resemblance: bits by which the word sets' fingerprints may differ, segments, words of a
+#: shingle and the share of shingles that two texts must have in common.
+SET_RADIUS, SET_SEGMENTS, SHINGLE_WORDS, LEAST_SIMILARITY = 7, 4, 5, 0.8
+
+
+def resembling(edges: DataFrame, texts: DataFrame, shingle_words: int, least: float) -> DataFrame:
+    """edges (a, b) whose texts (fp, text binary) share at least ``least`` of their shingles (Jaccard)."""
+
+    def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingle_hashes(t.as_py() or b"", shingle_words).tobytes() for t in b.column(1)], pa.binary())], names=["fp", "shingles"])
+
+    ends = edges.select(F.col("a").alias("fp")).union(edges.select(F.col("b").alias("fp"))).distinct()
+    sets = stored(texts.join(ends, "fp", "left_semi").select("fp", "text").mapInArrow(hashed, "fp long, shingles binary"), "simhash-shingles")
+
+    def alike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            keep = []
+            for x, y in zip(b.column(2), b.column(3)):
+                x, y = np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64)
+                both = len(np.intersect1d(x, y, assume_unique=True))
+                keep.append(both >= least * (len(x) + len(y) - both))
+            yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    one = edges.join(sets.select(F.col("fp").alias("a"), F.col("shingles").alias("sa")), "a")
+    two = one.join(sets.select(F.col("fp").alias("b"), F.col("shingles").alias("sb")), "b")
+    return two.select("a", "b", "sa", "sb").mapInArrow(alike, "a long, b long")
+
+
+def one_of_each(docs: DataFrame, *, radius: int = SET_RADIUS, segments: int = SET_SEGMENTS, shingle_words: int = SHINGLE_WORDS, least: float = LEAST_SIMILARITY) -> DataFrame:
+    """The documents that stay, with their own columns: the one with the smallest doc_id of each group of near duplicates.
+
+    Fingerprints of word sets find the candidates; a link holds if the texts share ``least`` of their word shingles.
+    Texts with the same fingerprint are one node.  Of several rows with the smallest id one stays; rows without an
+    id come last, so one of them stays only where its group has no other.
+    """
+    columns = docs.columns
+    id_, fp, row = own("id"), own("fp"), own("row")
+    keyed = docs.withColumns({id_: F.coalesce(F.col("doc_id").cast("long"), F.lit((1 << 63) - 1)), fp: F.lit(0).cast("long"), row: F.lit(0).cast("long")})
+    at_text, n = columns.index("text"), len(columns)
+
+    def marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        number = TaskContext.get().partitionId() << 33
+        for b in batches:
+            texts = [(t.as_py() or "").encode() for t in b.column(at_text)]
+            cols = list(b.columns)
+            cols[n + 1] = pa.array([fingerprint(t, 1, 42, True) for t in texts], pa.int64())
+            cols[n + 2] = pa.array(range(number, number + len(texts)), pa.int64())
+            number += len(texts)
+            yield pa.RecordBatch.from_arrays(cols, names=b.schema.names)
+
+    base = stored(keyed.mapInArrow(marked, keyed.schema), "simhash-documents")
+    first = F.min(F.struct(id_, row)).alias("first")
+    nodes = stored(base.groupBy(F.col(fp).alias("fp")).agg(first).select("fp", F.col(f"first.{row}").alias("row"), F.col(f"first.{id_}").alias("id")), "simhash-nodes")
+    edges = stored(links(nodes.select("fp"), radius, segments).distinct(), "simhash-links")
+    texts = base.select(F.col(row).alias("row"), F.col("text").cast("string").cast("binary").alias("text")).join(nodes.join(edges.select(F.col("a").alias("fp")).union(edges.select(F.col("b").alias("fp"))).distinct(), "fp", "left_semi"), "row").select("fp", "text")
+    true = resembling(edges, texts, shingle_words, least)
+    member = nodes.join(components(true).withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+    stays = member.groupBy("root").agg(F.min(F.struct("id", "row")).alias("m")).select(F.col("m.row").alias(row))
+    return base.join(stays, row, "left_semi").select(*columns)
