@@ -178,7 +178,7 @@ def factored(moments: DataFrame) -> DataFrame:
 def concentrate(points: DataFrame, estimates: DataFrame) -> DataFrame:
     """One step: the closest share of each group under the estimates gives its new mean and covariance."""
     measured = _joined(points, estimates).select("g", *Z, F.floor(F.log1p(distance()) * _D_BIN).cast("long").alias("bin"))
-    limit = _selected(measured.select("g", "bin"), ["g"], SUBSET).withColumnRenamed("bin", "limit")
+    limit = stored(_selected(measured.select("g", "bin"), ["g"], SUBSET).withColumnRenamed("bin", "limit"), "mcd-limit")
     inner = _joined(measured, limit).where("bin <= limit")
     sums = inner.groupBy("g").agg(F.count("*").alias("n"), *[F.avg(f"{_Z}{k}").alias(f"{_M}{k}") for k in range(DIMS)], *[F.avg(F.col(f"{_Z}{i}") * F.col(f"{_Z}{j}")).alias(f"p{i}{j}") for i, j in CELLS])
     # a whole unit is added to each variance: no group is taken to be more uniform than that
