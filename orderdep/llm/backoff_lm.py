@@ -36,8 +36,8 @@ VOCABULARY = 65_000
 MIN_COUNT = 2
 BACKOFF = 0.4
 #: Words that a block gathers, and bytes of blocks that a bucket's task may hold.
-CHUNK_WORDS = 600_000
-BUCKET_BYTES = 64 << 20
+CHUNK_WORDS = 300_000
+BUCKET_BYTES = 16 << 20
 _UNKNOWN, _START, _FIRST = 0, 1, 2
 _LOWER = bytes(b + 32 if 0x41 <= b <= 0x5A else b for b in range(256))
 

@@ -9,8 +9,8 @@ from unicodedata import is_normalized
 
 import numpy as np
 
-#: Pieces kept by a worker's cache; it starts anew when full.
-CACHE_PIECES = 800_000
+#: Pieces in a generation of a worker's cache.  A full one becomes the old one, from which pieces still in use come back.
+CACHE_PIECES = 200_000
 _LONG = 48
 _SIGNS = frozenset(".,;:!?|$%&#*")
 
@@ -36,6 +36,7 @@ class _Pieces(dict):
         self.letters = _byte_letters()
         self.lead = (prefix.encode().decode("latin-1")).translate(self.letters)
         self.signs = self
+        self.old: dict[str, bytes] = {}
 
     def _ids(self, piece: str) -> bytes:
         if not piece and not self.prefix:
@@ -48,9 +49,12 @@ class _Pieces(dict):
         return array("I", self.tokenizer.encode(self.prefix + piece, add_special_tokens=False).ids).tobytes()
 
     def __missing__(self, piece: str) -> bytes:
-        ids = self._ids(piece)
+        ids = self.old.get(piece)
+        if ids is None:
+            ids = self._ids(piece)
         if len(piece) <= _LONG:
             if len(self) >= CACHE_PIECES:
+                self.old = dict(self)
                 self.clear()
             self[piece] = ids
         return ids
