@@ -96,6 +96,8 @@ def dense(column) -> np.ndarray:
         v = np.asarray(column.fill_null(0).to_numpy(zero_copy_only=False), float) + 0.0
     elif pa.types.is_string(column.type) or pa.types.is_large_string(column.type) or pa.types.is_decimal(column.type):
         v = np.array(column.to_pylist(), object)
+    elif pa.types.is_date32(column.type):
+        v = column.cast(pa.int32()).cast(pa.int64()).fill_null(0).to_numpy(zero_copy_only=False)
     else:
         v = column.cast(pa.int64()).fill_null(0).to_numpy(zero_copy_only=False) if not pa.types.is_boolean(column.type) else column.fill_null(False).to_numpy(zero_copy_only=False).astype(np.int64)
     null = pc.is_null(column).to_numpy(zero_copy_only=False)

@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType
 
 from ..inference import closure
 from ..mapping import is_trivial, to_canonical
@@ -56,7 +57,7 @@ def count_inversions(x: np.ndarray, y: np.ndarray) -> int:
     return total
 
 
-@F.pandas_udf("long")
+@F.pandas_udf(LongType())
 def inversions(x: pd.Series, y: pd.Series) -> int:
     """Grouped aggregate for small classes."""
     return count_inversions(pd.factorize(x, sort=True)[0], pd.factorize(y, sort=True)[0])
