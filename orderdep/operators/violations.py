@@ -78,29 +78,28 @@ def split_count(df: DataFrame, context: Iterable[str], attribute: str) -> DataFr
     return per.agg(F.coalesce(F.sum((F.col("__n") * F.col("__n") - F.col("__q")) / 2), F.lit(0)).cast("long").alias("n_pairs"))
 
 
-def swap_count(df: DataFrame, od: Compat, *, block: int = 2_000) -> DataFrame:
+def swap_count(df: DataFrame, od: Compat) -> DataFrame:
     """One row: n_pairs in swap, without listing them.
 
-    Groups (context, a, b, count) are numbered by a in blocks; a block counts the inversions inside itself, and
-    against every earlier block by the cumulated counts of b's coarse ranges and one finer look.
+    Two rows with different codes of the first attribute part at exactly one binary digit of them, the smaller on the
+    0 side.  For each digit and each common front of the codes, a window over the other attribute counts how many of
+    the 0 side lie above each of the 1 side.
     """
-    context = sorted(od.context)
-    a, b = sorted(od.pair)
     from .encode import rank_encode
 
+    context = sorted(od.context)
+    a, b = sorted(od.pair)
     codes = rank_encode(df.select(*context, a, b), [*context, a, b])
-    cells = codes.groupBy(*context, F.col(a).alias("x"), F.col(b).alias("y")).agg(F.count("*").alias("c"))
-    keys = [F.col(c) for c in context]
-    # merge over binary digits of x: a pair with x_s < x_t splits at exactly one digit, s on the 0 side, t on the 1 side
-    digits = cells.select(*keys, "x", "y", "c", F.posexplode(F.sequence(F.lit(0), F.lit(40))).alias("__p", "d"))
-    top = codes.agg(F.max(a).alias("m")).first()["m"] or 0
-    digits = digits.where(F.col("d") < int(top).bit_length())
-    node = digits.select(*keys, "d", F.shiftright("x", 1).alias("__x1"), "x", "y", "c")
-    node = node.withColumn("__node", F.expr("shiftright(x, d + 1)")).withColumn("__right", F.expr("shiftright(x, d) & 1") == 1)
-    w = Window.partitionBy(*context, "d", "__node").orderBy(F.col("y").desc()).rangeBetween(Window.unboundedPreceding, -1)
-    above = F.sum(F.when(~F.col("__right"), F.col("c")).otherwise(0)).over(w)
-    per = node.withColumn("__above", F.coalesce(above, F.lit(0))).where("__right")
-    return per.agg(F.coalesce(F.sum(F.col("__above") * F.col("c")), F.lit(0)).cast("long").alias("n_pairs"))
+    cells = codes.groupBy(*context, F.col(a).alias("__x"), F.col(b).alias("__y")).agg(F.count("*").alias("__n"))
+    digits = int(codes.agg(F.max(a).alias("m")).first()["m"] or 0).bit_length()
+    if not digits:
+        return cells.agg(F.lit(0).cast("long").alias("n_pairs"))
+    node = cells.withColumn("__d", F.explode(F.sequence(F.lit(0), F.lit(digits - 1))))
+    node = node.withColumns({"__front": F.expr("shiftright(__x, __d + 1)"), "__one": F.expr("shiftright(__x, __d) & 1") == 1})
+    w = Window.partitionBy(*context, "__d", "__front").orderBy(F.col("__y").desc()).rangeBetween(Window.unboundedPreceding, -1)
+    above = F.coalesce(F.sum(F.when(~F.col("__one"), F.col("__n")).otherwise(0)).over(w), F.lit(0))
+    per = node.withColumn("__above", above).where("__one")
+    return per.agg(F.coalesce(F.sum(F.col("__above") * F.col("__n")), F.lit(0)).cast("long").alias("n_pairs"))
 
 
 def constancy_witnesses(df: DataFrame, context: Iterable[str], attribute: str) -> DataFrame:
