@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import stored
-from .tokens import encoder
+from .tokens import encoder, forget
 
 SEQUENCE = 1024
 OPEN_WINDOWS = 64
@@ -86,7 +86,7 @@ class OpenWindows:
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, open boolean"
 
 
-def pack_parts(docs: DataFrame, tokenizer_file: str, end_id: int, *, size: int = SEQUENCE, open_windows: int = OPEN_WINDOWS, least_cut: int = LEAST_CUT, with_ids: bool = False) -> DataFrame:
+def pack_parts(docs: DataFrame, tokenizer_file: str, end_id: int, *, size: int = SEQUENCE, open_windows: int = OPEN_WINDOWS, least_cut: int = LEAST_CUT, with_ids: bool = False, keep_encoder: bool = True) -> DataFrame:
     """Pieces by task; ``open`` marks those of the one window a task could not fill."""
     end = np.array([end_id], "<u4").tobytes()
 
@@ -121,6 +121,9 @@ def pack_parts(docs: DataFrame, tokenizer_file: str, end_id: int, *, size: int =
         for pieces in windows.close():
             note(pieces, sum(len(p[2]) for p in pieces) < size)
         yield out()
+        if not keep_encoder:
+            del enc
+            forget()
 
     return docs.select("doc_id", "text").mapInArrow(packed, PIECES + ", ids binary" * with_ids)
 
@@ -144,9 +147,9 @@ def merge_plan(open_windows: DataFrame, size: int = SEQUENCE, fan_in: int = MERG
     return open_windows.repartition(groups).mapInArrow(place, "sequence_id long, into long, base long")
 
 
-def pack(docs: DataFrame, tokenizer_file: str, end_id: int, *, size: int = SEQUENCE, open_windows: int = OPEN_WINDOWS, least_cut: int = LEAST_CUT, with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, tokenizer_file: str, end_id: int, *, size: int = SEQUENCE, open_windows: int = OPEN_WINDOWS, least_cut: int = LEAST_CUT, with_ids: bool = False, keep_encoder: bool = True) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset (and ids)."""
-    pieces = stored(pack_parts(docs, tokenizer_file, end_id, size=size, open_windows=open_windows, least_cut=least_cut, with_ids=with_ids), "packed-pieces")
+    pieces = stored(pack_parts(docs, tokenizer_file, end_id, size=size, open_windows=open_windows, least_cut=least_cut, with_ids=with_ids, keep_encoder=keep_encoder), "packed-pieces")
     remaining = pieces.where("open").groupBy("sequence_id").agg(F.sum("length").alias("length"))
     plan = merge_plan(remaining, size)
     merged = pieces.where("open").join(plan, "sequence_id").withColumns({"offset": F.col("offset") + F.col("base"), "sequence_id": F.col("into")})

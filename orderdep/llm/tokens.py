@@ -111,3 +111,14 @@ def encoder(path: str) -> TextEncoder:
     if path not in _encoders:
         _encoders[path] = TextEncoder(path)
     return _encoders[path]
+
+
+def forget() -> None:
+    """Gives the encoders' memory back; for tasks whose executors go on to other work."""
+    import gc
+
+    import pyarrow as pa
+
+    _encoders.clear()
+    gc.collect()
+    pa.default_memory_pool().release_unused()
