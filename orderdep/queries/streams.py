@@ -120,5 +120,5 @@ def q_stream_last_seen(spark, d):
         batch.write.mode("append").parquet(path)
         out.append(batch)
 
-    M.order_monitor(chunked(spark, d)).writeStream.outputMode("update").foreachBatch(keep).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start().awaitTermination()
+    M.order_monitor(chunked(spark, d), "3650 days").writeStream.outputMode("update").foreachBatch(keep).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start().awaitTermination()
     return spark.read.schema(M.LAST_SEEN).parquet(path).groupBy("user_id").agg(F.max("n_events").alias("n_events"))

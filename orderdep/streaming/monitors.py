@@ -52,6 +52,8 @@ class CompatMonitor:
             self.broken = not segscan.is_monotone(touched, self.context, "a", "lo", "hi")
 
 
+#: A key without rows is forgotten this long after its last one, by the watermark.
+KEEP_MS = 7 * 86_400_000
 LAST_SEEN = "user_id long, n_events long, n_backwards long"
 
 
@@ -61,17 +63,20 @@ def last_seen(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) ->
         state.remove()
         return
     last_id, n, back = state.get if state.exists else (-1, 0, 0)
+    latest = 0
     for f in frames:
         for i in f.sort_values(["ts", "event_id"])["event_id"].tolist():
             back += int(i < last_id)
             last_id, n = max(last_id, i), n + 1
+        latest = max(latest, int(f["ts"].max().timestamp() * 1000))
     state.update((last_id, n, back))
-    state.setTimeoutDuration(3_600_000)
+    state.setTimeoutTimestamp(max(latest, state.getCurrentWatermarkMs()) + KEEP_MS)
     yield pd.DataFrame({"user_id": [key[0]], "n_events": [n], "n_backwards": [back]})
 
 
-def order_monitor(stream: DataFrame) -> DataFrame:
-    return stream.select("user_id", "event_id", "ts").groupBy("user_id").applyInPandasWithState(last_seen, LAST_SEEN, "last_id long, n long, back long", "update", GroupStateTimeout.ProcessingTimeTimeout)
+def order_monitor(stream: DataFrame, late: str = "1 hour") -> DataFrame:
+    """Event time decides when a key is forgotten, so a run over all input there is comes to an end."""
+    return stream.select("user_id", "event_id", "ts").withWatermark("ts", late).groupBy("user_id").applyInPandasWithState(last_seen, LAST_SEEN, "last_id long, n long, back long", "update", GroupStateTimeout.EventTimeTimeout)
 
 
 def run_to_table(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
