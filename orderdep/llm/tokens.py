@@ -10,9 +10,10 @@ from unicodedata import is_normalized
 import numpy as np
 
 #: Pieces in a generation of a worker's cache.  A full one becomes the old one, from which pieces still in use come back.
-CACHE_PIECES = 200_000
+CACHE_PIECES = 300_000
 _LONG = 48
-_SIGNS = frozenset(".,;:!?|$%&#*")
+#: A letter and the ASCII signs behind it, up to the end of a piece.
+_SIGNED = re.compile(r"(.*[^\W\d_])([!-/:-@\[-`{-~]+)", re.DOTALL)
 
 
 def tokenizer_path(name: str) -> str:
@@ -35,15 +36,24 @@ class _Pieces(dict):
         self.tokenizer, self.model, self.prefix, self.normalized = tokenizer, tokenizer.model, prefix, normalized
         self.letters = _byte_letters()
         self.lead = (prefix.encode().decode("latin-1")).translate(self.letters)
-        self.signs = self
+        self.plain = self  # for pieces without the leading space
         self.old: dict[str, bytes] = {}
 
     def _ids(self, piece: str) -> bytes:
         if not piece and not self.prefix:
             return b""
-        if len(piece) > 2 and piece[-1] in _SIGNS and piece[-2].isalpha():  # a word and the one sign behind it never share a token
-            return self[piece[:-1]] + self.signs[piece[-1]]
-        if piece.isalpha() and (not self.normalized or (piece.islower() if piece.isascii() else piece == piece.lower() and is_normalized("NFC", piece))):
+        if piece.isalpha():
+            if self.normalized and piece.isascii() and not piece.islower():
+                return self[piece.lower()]
+        else:
+            m = _SIGNED.fullmatch(piece)
+            if m and m[1][-1].isalpha():  # a word and the signs behind it never share a token
+                return self[m[1]] + self.plain[m[2]]
+            if not self.normalized and "\n" in piece:
+                head, _, tail = piece.partition("\n")
+                if head and tail and not head[-1].isspace() and not tail[0].isspace():  # a line break alone is a piece of its own
+                    return self[head] + self.plain["\n"] + self.plain[tail]
+        if piece.isalpha() and (not self.normalized or piece.isascii() or (piece == piece.lower() and is_normalized("NFC", piece))):
             word = piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.letters)
             return array("I", [t.id for t in self.model.tokenize(self.lead + word)]).tobytes()
         return array("I", self.tokenizer.encode(self.prefix + piece, add_special_tokens=False).ids).tobytes()
@@ -86,7 +96,7 @@ class TextEncoder:
         spaces_lead = norm is None and pre.get("type") == "ByteLevel" and pre.get("use_regex") and not pre.get("add_prefix_space")
         self.kind = "dropped" if spaces_dropped else "leading" if spaces_lead else "whole"
         self.first, self.other = _Pieces(self.tokenizer, "", norm is not None), _Pieces(self.tokenizer, " ", norm is not None)
-        self.other.signs = self.first
+        self.other.plain = self.first
 
     def encode(self, text: str | None) -> bytes:
         if not text:
