@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import stored
-from .tokens import encoder, forget
+from .tokens import CACHE_PIECES, FEW_PIECES, encoder, forget
 
 SEQUENCE = 1024
 OPEN_WINDOWS = 64
@@ -91,7 +91,7 @@ def pack_parts(docs: DataFrame, tokenizer_file: str, end_id: int, *, size: int =
     end = np.array([end_id], "<u4").tobytes()
 
     def packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, task = encoder(tokenizer_file), TaskContext.get().partitionId() << 40
+        enc, task = encoder(tokenizer_file, CACHE_PIECES if keep_encoder else FEW_PIECES), TaskContext.get().partitionId() << 40
         windows, made = OpenWindows(size, open_windows, least_cut), 0
         rows: list[tuple] = []
 

@@ -10,7 +10,9 @@ from unicodedata import is_normalized
 import numpy as np
 
 #: Pieces in a generation of a worker's cache.  A full one becomes the old one, from which pieces still in use come back.
-CACHE_PIECES = 300_000
+CACHE_PIECES = 700_000
+#: The same where executors have other work that needs the memory.
+FEW_PIECES = 250_000
 _LONG = 48
 #: A letter and the ASCII signs behind it, up to the end of a piece.
 _SIGNED = re.compile(r"(.*[^\W\d_])([!-/:-@\[-`{-~]+)", re.DOTALL)
@@ -32,7 +34,8 @@ def _byte_letters() -> dict[int, str]:
 class _Pieces(dict):
     """text piece -> its ids as little-endian unsigned 32-bit integers."""
 
-    def __init__(self, tokenizer, prefix: str, normalized: bool):
+    def __init__(self, tokenizer, prefix: str, normalized: bool, most: int):
+        self.most = most
         self.tokenizer, self.model, self.prefix, self.normalized = tokenizer, tokenizer.model, prefix, normalized
         self.letters = _byte_letters()
         self.lead = (prefix.encode().decode("latin-1")).translate(self.letters)
@@ -63,7 +66,7 @@ class _Pieces(dict):
         if ids is None:
             ids = self._ids(piece)
         if len(piece) <= _LONG:
-            if len(self) >= CACHE_PIECES:
+            if len(self) >= self.most:
                 self.old = dict(self)
                 self.clear()
             self[piece] = ids
@@ -83,7 +86,7 @@ class TextEncoder:
     _ODD = re.compile(r" (?:[\s\x1c-\x1f]|$)", re.ASCII)
     _WIDE = re.compile(r" [\x1c-\x1f\x85\xa0  -     　]")
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, most: int = CACHE_PIECES):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
@@ -95,7 +98,7 @@ class TextEncoder:
         spaces_dropped = any(p.get("type") == "Split" and p.get("behavior") == "Removed" and p.get("invert") for p in parts) and norm is not None
         spaces_lead = norm is None and pre.get("type") == "ByteLevel" and pre.get("use_regex") and not pre.get("add_prefix_space")
         self.kind = "dropped" if spaces_dropped else "leading" if spaces_lead else "whole"
-        self.first, self.other = _Pieces(self.tokenizer, "", norm is not None), _Pieces(self.tokenizer, " ", norm is not None)
+        self.first, self.other = _Pieces(self.tokenizer, "", norm is not None, most), _Pieces(self.tokenizer, " ", norm is not None, most)
         self.other.plain = self.first
 
     def encode(self, text: str | None) -> bytes:
@@ -116,10 +119,10 @@ class TextEncoder:
 _encoders: dict[str, TextEncoder] = {}
 
 
-def encoder(path: str) -> TextEncoder:
+def encoder(path: str, most: int = CACHE_PIECES) -> TextEncoder:
     """The worker's encoder for a tokenizer file; its cache outlives the task."""
     if path not in _encoders:
-        _encoders[path] = TextEncoder(path)
+        _encoders[path] = TextEncoder(path, most)
     return _encoders[path]
 
 
