@@ -15,8 +15,10 @@ from ..operators.validate import PLAN_TASKS, ordered, verdict_plan
 from ..storage import stored
 
 #: Different rows up to which a relation is small enough for one process; its size is counted before it is fetched.
-LOCAL_ROWS = 200_000
+LOCAL_ROWS = 800_000
 LOCAL_CELLS = 8_000_000
+#: Rows from which a relation in memory is asked through a sample first.
+SAMPLED_ROWS = 10_000
 
 
 class Verdicts(Protocol):
@@ -86,6 +88,31 @@ class LocalVerdicts:
         return self.count(mask) == self.rows
 
 
+class SampledVerdicts:
+    """Asks a sample of the rows first and the whole relation only about what the sample does not break."""
+
+    def __init__(self, whole: LocalVerdicts, sample_rows: int = 2_000):
+        at = np.sort(np.random.Generator(np.random.PCG64(17)).choice(whole.rows, sample_rows, replace=False))
+        self.whole = whole
+        self.sample = LocalVerdicts([c[at] for c in whole.codes], sample_rows, whole.stripped)
+
+    def _both(self, name: str, tasks):
+        out = getattr(self.sample, name)(tasks)
+        left = [k for k, ok in enumerate(out) if ok]
+        for k, ok in zip(left, getattr(self.whole, name)([tasks[k] for k in left])):
+            out[k] = ok
+        return out
+
+    def constant(self, tasks):
+        return self._both("constant", tasks)
+
+    def compatible(self, tasks):
+        return self._both("compatible", tasks)
+
+    def key(self, mask: int) -> bool:
+        return self.sample.key(mask) and self.whole.key(mask)
+
+
 def dense(column) -> np.ndarray:
     """Dense ranks of an Arrow column: null first, then values, NaN last."""
     import pyarrow as pa
@@ -160,8 +187,9 @@ def verdicts(df: DataFrame, columns: list[str], kind: str = "auto", **options) -
         most = min(LOCAL_ROWS, LOCAL_CELLS // max(1, len(columns)))
         kind = "local" if df.select(*columns).limit(most + 1).count() <= most else "spark"
     if kind == "local":
-        options.pop("falsify", None)
-        return LocalVerdicts.of(df, columns, **options)
+        falsify = options.pop("falsify", True)
+        whole = LocalVerdicts.of(df, columns, **options)
+        return SampledVerdicts(whole) if falsify and whole.rows >= SAMPLED_ROWS else whole
     return SparkVerdicts(df, columns, **options)
 
 

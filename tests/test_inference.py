@@ -172,3 +172,14 @@ def test_ex_ab_equivalent_set_is_dropped():
     rows = [(0, 0, 1), (1, 1, 0), (2, 2, 1), (0, 0, 0)]
     got = search(LocalVerdicts(codes_of(rows, 3), len(rows)), list("abc"))
     assert got.levels[1].pruned >= 1 and len(got.levels) == 2
+
+
+def test_sample_first_changes_nothing():
+    from orderdep.discovery.verdicts import SampledVerdicts
+
+    rng = np.random.default_rng(3)
+    codes = [rng.integers(0, k, 300) for k in (2, 3, 5, 300)] + [np.arange(300) // 30]
+    codes.append(codes[4] // 2)
+    columns = list("abcdef")
+    whole = LocalVerdicts(codes, 300)
+    assert search(SampledVerdicts(whole, 40), columns).ods == search(LocalVerdicts(codes, 300), columns).ods
