@@ -87,6 +87,19 @@ def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op8_suffix_dedup"] = op8_suffix_dedup
+SQL["op8_suffix_dedup"] = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, hex(encode(coalesce(text, ''))) AS h, octet_length(encode(coalesce(text, ''))) AS n FROM documents),
+w AS (SELECT r, i, md5_number(substring(h, 2 * i - 1, 400)) AS k FROM (SELECT r, h, unnest(range(1, n - 198)) AS i FROM d WHERE n >= 200)),
+rep AS (SELECT k FROM w GROUP BY k HAVING count(*) > 1),
+s AS (SELECT r, i, CASE WHEN i > lag(i) OVER (PARTITION BY r ORDER BY i) + 200 THEN 1 ELSE 0 END AS fresh FROM w SEMI JOIN rep ON w.k = rep.k),
+g AS (SELECT r, sum(fresh) OVER (PARTITION BY r ORDER BY i) AS g, i FROM s),
+spans AS (SELECT r, g, min(i) AS a, max(i) + 200 AS b FROM g GROUP BY r, g),
+gaps AS (SELECT r, b AS a, lead(a) OVER (PARTITION BY r ORDER BY a) AS b FROM spans UNION ALL SELECT r, 1, min(a) FROM spans GROUP BY r),
+kept AS (SELECT r, string_agg(substring(h, 2 * a - 1, 2 * (coalesce(b, n + 1) - a)), '' ORDER BY a) AS h FROM gaps JOIN d USING (r) GROUP BY r),
+t AS (SELECT r, sum(b - a) AS n_removed, count(*) AS n_spans FROM spans GROUP BY r)
+SELECT d.doc_id, CAST(d.n AS BIGINT) AS n_bytes, CAST(coalesce(t.n_removed, 0) AS BIGINT) AS n_removed, coalesce(t.n_spans, 0) AS n_spans, sha256(unhex(coalesce(kept.h, d.h))) AS kept_sha256
+FROM d LEFT JOIN t USING (r) LEFT JOIN kept USING (r)
+"""
 
 
 def op6_backoff_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
