@@ -118,7 +118,8 @@ def _joined(points: DataFrame, estimates: DataFrame) -> DataFrame:
 
 def _selected(values: DataFrame, keys: list[str], share: float) -> DataFrame:
     """values (keys, bin) -> (keys, bin): the bin in which the share of each group's rows is reached."""
-    counts = values.groupBy(*keys, "bin").agg(F.count("*").alias("c"))
+    # written first, so that counts are dealt by group and bin and only the few bins of a group meet in one task
+    counts = stored(values.groupBy(*keys, "bin").agg(F.count("*").alias("c")), "mcd-bins")
     run = Window.partitionBy(*keys).orderBy("bin")
     reached = counts.withColumns({"before": F.sum("c").over(run) - F.col("c"), "all": F.sum("c").over(Window.partitionBy(*keys))})
     need = F.ceil(F.col("all") * share)
