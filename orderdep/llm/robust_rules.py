@@ -26,6 +26,8 @@ MAX_REPEAT_PERCENT = 50
 SUBSET = 0.75
 LEAST_ROWS = 100
 STEPS = 5
+#: Groups (some 200 bytes each) whose estimates may be broadcast.
+MOST_SENT = 50_000
 #: Share of normal documents whose squared distance lies under the cutoff.
 TAIL = 0.9999
 #: One unit of each statistic after its transformation; also the least deviation that a group is taken to have.
@@ -112,8 +114,9 @@ CELLS = [(i, j) for i in range(DIMS) for j in range(i + 1)]
 
 
 def _joined(points: DataFrame, estimates: DataFrame) -> DataFrame:
-    """Estimates are a row a group; they are sent to all tasks while Spark's own limit on that allows it."""
-    return points.join(estimates, "g")
+    """Estimates are a row a group; they are sent to all tasks if there are at most MOST_SENT of them."""
+    few = estimates.limit(MOST_SENT + 1).count() <= MOST_SENT
+    return points.join(F.broadcast(estimates) if few else estimates, "g")
 
 
 def _selected(values: DataFrame, keys: list[str], share: float) -> DataFrame:
