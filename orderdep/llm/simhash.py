@@ -16,7 +16,7 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import own, stored
@@ -177,9 +177,30 @@ def near_duplicates(docs: DataFrame, *, shingle_words: int = 3, radius: int = RA
     return prints.join(classes(prints, radius, segments), "fp").select("doc_id", "fp", "component_id")
 
 
-#: For near duplicates by resemblance: bits by which the word sets' fingerprints may differ, segments, words of a
-#: shingle and the share of shingles that two texts must have in common.
-SET_RADIUS, SET_SEGMENTS, SHINGLE_WORDS, LEAST_SIMILARITY = 7, 4, 5, 0.8
+#: For near duplicates by resemblance: words of a shingle and the share of shingles that two texts must have in common;
+#: tables, and minima that two texts must share to meet in one.  A pair at similarity s meets nowhere with probability
+#: (1 - s ** MINIMA) ** TABLES: 5e-8 at 0.8.
+SHINGLE_WORDS, LEAST_SIMILARITY = 5, 0.8
+TABLES, MINIMA = 32, 4
+_DRAWN = np.random.Generator(np.random.PCG64(42)).integers(0, 1 << 64, (2, TABLES * MINIMA, 1), np.uint64)
+_TIMES, _PLUS = _DRAWN[0] | np.uint64(1), _DRAWN[1]
+_TIED = np.random.Generator(np.random.PCG64(43)).integers(0, 1 << 64, (TABLES, MINIMA), np.uint64) | np.uint64(1)
+
+
+def table_entries(shingles: np.ndarray) -> np.ndarray:
+    """A text's entry in each table: a hash of the table and of the least shingles in ``MINIMA`` orders of its own."""
+    low = np.full(TABLES * MINIMA, (1 << 64) - 1, np.uint64)
+    for at in range(0, len(shingles), 4096):
+        low = np.minimum(low, (shingles[at : at + 4096] * _TIMES + _PLUS).min(1))
+    # every table has factors of its own, so that equal minima of two tables do not meet
+    return (low.reshape(TABLES, MINIMA) * _TIED).sum(1, dtype=np.uint64)
+
+
+def meeting(entries: DataFrame) -> DataFrame:
+    """entries (entry, fp) -> those rows that are not alone at their entry, with the one before them there (null for the first)."""
+    there = Window.partitionBy("entry").orderBy("fp")
+    both = entries.withColumns({"before": F.lag("fp").over(there), "after": F.lead("fp").over(there)})
+    return both.where(F.col("before").isNotNull() | F.col("after").isNotNull()).drop("after")
 
 
 def resembling(edges: DataFrame, texts: DataFrame, shingle_words: int, least: float) -> DataFrame:
@@ -206,16 +227,16 @@ def resembling(edges: DataFrame, texts: DataFrame, shingle_words: int, least: fl
     return two.select("a", "b", "sa", "sb").mapInArrow(alike, "a long, b long")
 
 
-def one_of_each(docs: DataFrame, *, radius: int = SET_RADIUS, segments: int = SET_SEGMENTS, shingle_words: int = SHINGLE_WORDS, least: float = LEAST_SIMILARITY) -> DataFrame:
+def one_of_each(docs: DataFrame, *, shingle_words: int = SHINGLE_WORDS, least: float = LEAST_SIMILARITY) -> DataFrame:
     """The documents that stay, with their own columns: the one with the smallest doc_id of each group of near duplicates.
 
-    Fingerprints of word sets find the candidates; a link holds if the texts share ``least`` of their word shingles.
+    Texts that share some table's entry are candidates; a link holds if the texts share ``least`` of their word shingles.
     Texts with the same fingerprint are one node.  Of several rows with the smallest id one stays; rows without an
     id come last, so one of them stays only where its group has no other.
     """
     columns = docs.columns
-    id_, fp, row = own("id"), own("fp"), own("row")
-    keyed = docs.withColumns({id_: F.coalesce(F.col("doc_id").cast("long"), F.lit((1 << 63) - 1)), fp: F.lit(0).cast("long"), row: F.lit(0).cast("long")})
+    id_, fp, row, at_ = own("id"), own("fp"), own("row"), own("entries")
+    keyed = docs.withColumns({id_: F.coalesce(F.col("doc_id").cast("long"), F.lit((1 << 63) - 1)), fp: F.lit(0).cast("long"), row: F.lit(0).cast("long"), at_: F.array().cast("array<bigint>")})
     at_text, n = columns.index("text"), len(columns)
 
     def marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -225,14 +246,17 @@ def one_of_each(docs: DataFrame, *, radius: int = SET_RADIUS, segments: int = SE
             cols = list(b.columns)
             cols[n + 1] = pa.array([fingerprint(t, 1, 42, True) for t in texts], pa.int64())
             cols[n + 2] = pa.array(range(number, number + len(texts)), pa.int64())
+            cols[n + 3] = pa.array([table_entries(shingle_hashes(t, shingle_words)).view(np.int64) for t in texts], pa.list_(pa.int64()))
             number += len(texts)
             yield pa.RecordBatch.from_arrays(cols, names=b.schema.names)
 
     base = stored(keyed.mapInArrow(marked, keyed.schema), "simhash-documents")
     first = F.min(F.struct(id_, row)).alias("first")
     nodes = stored(base.groupBy(F.col(fp).alias("fp")).agg(first).select("fp", F.col(f"first.{row}").alias("row"), F.col(f"first.{id_}").alias("id")), "simhash-nodes")
-    edges = stored(links(nodes.select("fp"), radius, segments).distinct(), "simhash-links")
-    texts = base.select(F.col(row).alias("row"), F.col("text").cast("string").cast("binary").alias("text")).join(nodes.join(edges.select(F.col("a").alias("fp")).union(edges.select(F.col("b").alias("fp"))).distinct(), "fp", "left_semi"), "row").select("fp", "text")
+    entries = base.select(F.col(row).alias("row"), F.col(at_).alias("entries")).join(nodes.select("fp", "row"), "row").select(F.explode("entries").alias("entry"), "fp")
+    met = stored(meeting(entries), "simhash-met")
+    edges = stored(met.where("before is not null").select(F.col("before").alias("a"), F.col("fp").alias("b")).distinct(), "simhash-links")
+    texts = base.select(F.col(row).alias("row"), F.col("text").cast("string").cast("binary").alias("text")).join(nodes.join(met.select("fp").distinct(), "fp", "left_semi"), "row").select("fp", "text")
     true = resembling(edges, texts, shingle_words, least)
     member = nodes.join(components(true).withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     stays = member.groupBy("root").agg(F.min(F.struct("id", "row")).alias("m")).select(F.col("m.row").alias(row))
