@@ -231,7 +231,7 @@ def one_of_each(docs: DataFrame, *, shingle_words: int = SHINGLE_WORDS, least: f
     """The documents that stay, with their own columns: the one with the smallest doc_id of each group of near duplicates.
 
     Texts that share some table's entry are candidates; a link holds if the texts share ``least`` of their word shingles.
-    Texts with the same fingerprint are one node.  Of several rows with the smallest id one stays; rows without an
+    Texts of the same words in the same order are one node (64-bit hash of all words).  Of several rows with the smallest id one stays; rows without an
     id come last, so one of them stays only where its group has no other.
     """
     columns = docs.columns
@@ -244,7 +244,7 @@ def one_of_each(docs: DataFrame, *, shingle_words: int = SHINGLE_WORDS, least: f
         for b in batches:
             texts = [(t.as_py() or "").encode() for t in b.column(at_text)]
             cols = list(b.columns)
-            cols[n + 1] = pa.array([fingerprint(t, 1, 42, True) for t in texts], pa.int64())
+            cols[n + 1] = pa.array(np.array([xxhash.xxh3_64_intdigest(shingle_spans(t, 1)[0]) for t in texts], np.uint64).view(np.int64))
             cols[n + 2] = pa.array(range(number, number + len(texts)), pa.int64())
             cols[n + 3] = pa.array([table_entries(shingle_hashes(t, shingle_words)).view(np.int64) for t in texts], pa.list_(pa.int64()))
             number += len(texts)

@@ -56,3 +56,14 @@ def test_pairs_at_the_threshold_are_found(spark, kind):
         rows += [(k, " ".join(w)), (1000 + k, " ".join(v))]
     assert all(similarity(rows[k][1], rows[k + 1][1]) >= 0.78 for k in range(0, len(rows), 2))
     assert stay(spark, rows) == brute(rows)
+
+
+def test_same_words_in_another_order_both_stay(spark):
+    rng = random.Random(1)
+    words = [f"w{k}" for k in range(300)]
+    rows = []
+    for k in range(6):
+        rng.shuffle(words)
+        rows.append((k, " ".join(words)))
+    rows += [(10, rows[0][1] + " w0 w1"), (11, rows[3][1].upper()), (12, rows[3][1].replace(" ", "\n"))]
+    assert stay(spark, rows) == brute(rows) == list(range(6))
