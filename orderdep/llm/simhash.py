@@ -43,13 +43,8 @@ def shingle_spans(text: bytes, size: int) -> tuple[bytes, np.ndarray, np.ndarray
     return b" ".join(words), firsts[:n], ends[-n:] if n else ends
 
 
-def fingerprint(text: bytes, size: int, seed: int = 42, once: bool = False) -> int:
-    """Signed 64-bit fingerprint: a bit is set where over half of the shingles' hashes have it; no words: zero.
-
-    ``once`` lets a repeated word count once (for size 1).
-    """
-    if once:
-        text = b" ".join(set(text.translate(_LOWER).split()))
+def fingerprint(text: bytes, size: int, seed: int = 42) -> int:
+    """Signed 64-bit fingerprint: a bit is set where over half of the shingles' hashes have it; no words: zero."""
     joined, firsts, ends = shingle_spans(text, size)
     n, digest = len(firsts), xxhash.xxh64_digest
     if not n:
@@ -61,12 +56,12 @@ def fingerprint(text: bytes, size: int, seed: int = 42, once: bool = False) -> i
     return int.from_bytes(np.packbits(2 * counts > n).tobytes(), "big", signed=True)
 
 
-def fingerprints(docs: DataFrame, *, shingle_words: int = 3, seed: int = 42, once: bool = False) -> DataFrame:
+def fingerprints(docs: DataFrame, *, shingle_words: int = 3, seed: int = 42) -> DataFrame:
     """(doc_id, fp long).  Null text: no words, fingerprint zero."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([fingerprint(t.as_py() or b"", shingle_words, seed, once) for t in b.column(1)], pa.int64())], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([fingerprint(t.as_py() or b"", shingle_words, seed) for t in b.column(1)], pa.int64())], names=["doc_id", "fp"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text")).mapInArrow(run, "doc_id long, fp long")
 
@@ -182,6 +177,8 @@ def near_duplicates(docs: DataFrame, *, shingle_words: int = 3, radius: int = RA
 #: (1 - s ** MINIMA) ** TABLES: 5e-8 at 0.8.
 SHINGLE_WORDS, LEAST_SIMILARITY = 5, 0.8
 TABLES, MINIMA = 32, 4
+#: Further orders in which neighbours at an entry are tested before all pairs that are left.
+CHAINS = 1
 _DRAWN = np.random.Generator(np.random.PCG64(42)).integers(0, 1 << 64, (2, TABLES * MINIMA, 1), np.uint64)
 _TIMES, _PLUS = _DRAWN[0] | np.uint64(1), _DRAWN[1]
 _TIED = np.random.Generator(np.random.PCG64(43)).integers(0, 1 << 64, (TABLES, MINIMA), np.uint64) | np.uint64(1)
@@ -203,15 +200,18 @@ def meeting(entries: DataFrame) -> DataFrame:
     return both.where(F.col("before").isNotNull() | F.col("after").isNotNull()).drop("after")
 
 
-def resembling(edges: DataFrame, texts: DataFrame, shingle_words: int, least: float) -> DataFrame:
-    """edges (a, b) whose texts (fp, text binary) share at least ``least`` of their shingles (Jaccard)."""
+def shingle_sets(texts: DataFrame, shingle_words: int) -> DataFrame:
+    """texts (fp, text binary) -> (fp, shingles binary)."""
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingle_hashes(t.as_py() or b"", shingle_words).tobytes() for t in b.column(1)], pa.binary())], names=["fp", "shingles"])
 
-    ends = edges.select(F.col("a").alias("fp")).union(edges.select(F.col("b").alias("fp"))).distinct()
-    sets = stored(texts.join(ends, "fp", "left_semi").select("fp", "text").mapInArrow(hashed, "fp long, shingles binary"), "simhash-shingles")
+    return texts.select("fp", "text").mapInArrow(hashed, "fp long, shingles binary")
+
+
+def resembling(edges: DataFrame, sets: DataFrame, least: float) -> DataFrame:
+    """edges (a, b) whose sets (fp, shingles) have at least ``least`` of their shingles in common (Jaccard)."""
 
     def alike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -227,6 +227,36 @@ def resembling(edges: DataFrame, texts: DataFrame, shingle_words: int, least: fl
     return two.select("a", "b", "sa", "sb").mapInArrow(alike, "a long, b long")
 
 
+def true_links(met: DataFrame, sets: DataFrame, least: float) -> DataFrame:
+    """met (entry, fp, before) -> edges (a, b) with the components that testing every pair of every entry would give.
+
+    Neighbours at an entry are tested first, then neighbours in other orders that the links found so far do not hold
+    together, and at last every pair of an entry that they still do not.  So a group of n copies costs some n tests,
+    and only texts that meet without being copies are tested pair by pair, each pair once.
+    """
+    edges = stored(met.where("before is not null").select(F.col("before").alias("a"), F.col("fp").alias("b")).distinct(), "simhash-links")
+    tested, true = edges, stored(resembling(edges, sets, least), "simhash-true")
+    for turn in range(CHAINS + 1):
+        roots = components(true).withColumnRenamed("node", "fp")
+        rows = met.select("entry", "fp").join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+        split = rows.groupBy("entry").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("entry")
+        rows = stored(rows.join(split, "entry", "left_semi"), "simhash-open")
+        if turn < CHAINS:
+            there = Window.partitionBy("entry").orderBy(F.xxhash64("fp", F.lit(turn)))
+            pairs = rows.withColumns({"a": F.lag("fp").over(there), "ra": F.lag("root").over(there)}).where("ra <> root").select(F.least("a", "fp").alias("a"), F.greatest("a", "fp").alias("b"))
+        else:
+            other = rows.select("entry", F.col("fp").alias("b"), F.col("root").alias("rb"))
+            pairs = rows.withColumnRenamed("fp", "a").join(other, "entry").where("a < b and root <> rb").select("a", "b")
+        # a set of under ``least`` of another's size cannot share that much with it
+        size = sets.select("fp", F.length("shingles").alias("n"))
+        new = pairs.distinct().join(tested, ["a", "b"], "left_anti").join(size.withColumnsRenamed({"fp": "a", "n": "na"}), "a").join(size.withColumnsRenamed({"fp": "b", "n": "nb"}), "b")
+        edges = stored(new.where(F.least("na", "nb") >= F.greatest("na", "nb") * least).select("a", "b"), "simhash-links")
+        if not edges.isEmpty():
+            true = stored(true.union(resembling(edges, sets, least)), "simhash-true")
+            tested = tested.union(edges)
+    return true
+
+
 def one_of_each(docs: DataFrame, *, shingle_words: int = SHINGLE_WORDS, least: float = LEAST_SIMILARITY) -> DataFrame:
     """The documents that stay, with their own columns: the one with the smallest doc_id of each group of near duplicates.
 
@@ -255,9 +285,8 @@ def one_of_each(docs: DataFrame, *, shingle_words: int = SHINGLE_WORDS, least: f
     nodes = stored(base.groupBy(F.col(fp).alias("fp")).agg(first).select("fp", F.col(f"first.{row}").alias("row"), F.col(f"first.{id_}").alias("id")), "simhash-nodes")
     entries = base.select(F.col(row).alias("row"), F.col(at_).alias("entries")).join(nodes.select("fp", "row"), "row").select(F.explode("entries").alias("entry"), "fp")
     met = stored(meeting(entries), "simhash-met")
-    edges = stored(met.where("before is not null").select(F.col("before").alias("a"), F.col("fp").alias("b")).distinct(), "simhash-links")
     texts = base.select(F.col(row).alias("row"), F.col("text").cast("string").cast("binary").alias("text")).join(nodes.join(met.select("fp").distinct(), "fp", "left_semi"), "row").select("fp", "text")
-    true = resembling(edges, texts, shingle_words, least)
+    true = true_links(met, stored(shingle_sets(texts, shingle_words), "simhash-shingles"), least)
     member = nodes.join(components(true).withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     stays = member.groupBy("root").agg(F.min(F.struct("id", "row")).alias("m")).select(F.col("m.row").alias(row))
     return base.join(stays, row, "left_semi").select(*columns)

@@ -67,3 +67,19 @@ def test_same_words_in_another_order_both_stay(spark):
         rows.append((k, " ".join(words)))
     rows += [(10, rows[0][1] + " w0 w1"), (11, rows[3][1].upper()), (12, rows[3][1].replace(" ", "\n"))]
     assert stay(spark, rows) == brute(rows) == list(range(6))
+
+
+def test_links_that_fail_do_not_hide_true_ones(spark):
+    """Texts of one template, most of them at 0.5 to 0.75, so that they meet without a link; a few are true copies."""
+    rng = random.Random(2)
+    template = [f"t{k}" for k in range(300)]
+    rows = []
+    for k in range(60):
+        w = list(template)
+        at = rng.randrange(0, 240)
+        w[at : at + 25] = [f"own{k}_{n}" for n in range(25)]
+        rows.append((rng.randrange(1 << 40), " ".join(w)))
+        if k % 4 == 0:
+            w[at + 30] = f"copy{k}"
+            rows.append((rng.randrange(1 << 40), " ".join(w)))
+    assert stay(spark, rows) == brute(rows)
