@@ -221,13 +221,49 @@ def secret(p: Permuter, m: re.Match, back: bool = False) -> str | None:
     return m["name"] + new
 
 
+#: Kinds whose pattern is only a start: a further character, characters of the shortest and the longest value, and what
+#: may not stand behind a value.
+RUNS: dict[str, tuple[re.Pattern, int, int, re.Pattern]] = {
+    "iban": (re.compile(r" ?[A-Z0-9]"), 15, 34, re.compile(r"\w")),
+    "card": (re.compile(r"[ -]?[0-9]"), 13, 19, re.compile(r"\.?\d")),
+}
+#: Characters of an IBAN by country; this length is tried first.
+IBAN_LENGTHS = {
+    length: set(countries.split())
+    for length, countries in {
+        15: "NO", 16: "BE", 18: "DK FI FO GL NL SD", 19: "MK SI", 20: "AT BA EE KZ LT LU XK", 21: "CH HR LI LV", 22: "BG BH CR DE GB GE IE ME RS VA",
+        23: "AE IL IQ OM TL", 24: "AD CZ ES MD PK RO SA SE SK TN VG", 25: "LY PT ST", 26: "IS TR", 27: "BI DJ FR GR IT MC MR SM", 28: "AL AZ BY CY DO GT HU LB NI PL SV",
+        29: "BR EG PS QA UA", 30: "JO KW MU", 31: "MT SC", 32: "LC", 33: "RU",
+    }.items()
+}
+_TO_END = re.compile(r"[\s\S]*")
+
+
+def tries(kind: str, text: str, m: re.Match) -> list[re.Match]:
+    """The matches to be tried from this start: all lengths that end with a group, the longest first."""
+    if kind not in RUNS:
+        return [m]
+    further, least, most, not_behind = RUNS[kind]
+    end, n, ends = m.end(), len(m[0]), []
+    while n <= most:
+        if n >= least and not not_behind.match(text, end):
+            ends.append((n, end))
+        step = further.match(text, end)
+        if not step:
+            break
+        end, n = step.end(), n + 1
+    if kind == "iban":
+        ends.sort(key=lambda x: m[0][:2] in IBAN_LENGTHS.get(x[0], ()))
+    return [_TO_END.match(text, m.start(), end) for _, end in reversed(ends)]
+
+
 #: Kind, sign without which a text has no such value, pattern, mapping; earlier kinds win where two overlap.
 KINDS: list[tuple[str, str, re.Pattern, Callable]] = [
     ("secret", "digit", re.compile(r"(?P<name>(?i:\b(?:password|passwd|pwd|token|secret|api[_-]?key))\s*[=:]\s*[\"']?)(?P<value>[^\s\"']{6,})"), secret),
     ("access_key", "digit", re.compile(r"\b(?:AKIA|ASIA)[A-Z0-9]{16}\b"), access_key),
     ("email", "at", re.compile(r"(?<![\w.+%-])(?P<local>[\w.+%-]+)(?P<rest>@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,})"), email),
-    ("iban", "digit", re.compile(r"\b[A-Z]{2}\d{2}(?: ?[A-Z0-9]{2,4}){3,8}\b"), iban),
-    ("card", "digit", re.compile(r"(?<![\d.])\d(?:[ -]?\d){12,18}(?![\d.]\d|\d)"), card),
+    ("iban", "digit", re.compile(r"\b[A-Z]{2}[0-9]{2}(?= ?[A-Z0-9])"), iban),
+    ("card", "digit", re.compile(r"(?<![\d.])[0-9](?=(?:[ -]?[0-9]){12})"), card),
     ("phone", "digit", re.compile(r"(?P<lead>(?<![\w+])\+\d{1,3}[ .-]?)(?P<national>\(?\d{2,4}\)?(?:[ .-]?\d{2,4}){2,4})(?!\d)|(?<!\d)(?P<local>\(\d{3}\) ?\d{3}[.-]\d{4}|\d{3}[.-]\d{3}[.-]\d{4})(?!\d)"), phone),
     ("ssn", "digit", re.compile(r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])"), ssn),
     ("ip", "digit", re.compile(r"(?<![\d.])\d{1,3}(?:\.\d{1,3}){3}(?!\.?\d)"), ip),
@@ -247,12 +283,17 @@ def replaced(text: str, p: Permuter, back: bool = False) -> tuple[str, list[str]
     for kind, sign, pattern, mapped in KINDS:
         if not has[sign]:
             continue
-        for m in pattern.finditer(text):
-            if any(m.start() < b and a < m.end() for a, b, _, _ in taken):
-                continue
-            new = mapped(p, m, back)
-            if new is not None:
-                taken.append((m.start(), m.end(), new, kind))
+        at = 0
+        while start := pattern.search(text, at):
+            at = start.end()
+            for m in tries(kind, text, start):
+                if any(m.start() < b and a < m.end() for a, b, _, _ in taken):
+                    continue
+                new = mapped(p, m, back)
+                if new is not None:
+                    taken.append((m.start(), m.end(), new, kind))
+                    at = m.end()
+                    break
     if not taken:
         return text, []
     out, at = [], 0
