@@ -8,7 +8,9 @@ A segment is one binary image: header, document table and levels.  A folder of s
 segment a row (``part``, ``seq``, ``local_start``, ``n_docs``, ``n_tokens``, ``image``), its parts and segments in
 ascending order of document id; Parquet gives the atomic commit and works on any store that Spark writes.
 
-Null and empty texts hold only the end id; rows with the same id are ordered by text.
+Null and empty texts hold only the end id.  ``doc_id`` is an integer; rows without one come first, and rows with the
+same id are ordered by a hash of their text and then as read, so that many of them are dealt over several tasks.
+Other columns are not read.
 """
 
 from __future__ import annotations
@@ -23,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import own, stored
 from .tokens import encoder
 
 CHUNK_BITS = 8
@@ -110,7 +112,9 @@ SEGMENTS = "part long, seq long, local_start long, n_docs long, n_tokens long, i
 
 def encode_segments(docs: DataFrame, tokenizer_file: str, end_id: int, *, segment_tokens: int = SEGMENT_TOKENS) -> DataFrame:
     """Segments in ascending order of doc_id: one shuffle of the texts by ranges of ids."""
-    ordered = docs.select("doc_id", "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
+    tie = [F.xxhash64("text").alias(own("hash")), F.monotonically_increasing_id().alias(own("row"))]
+    keys = ["doc_id", own("hash"), own("row")]
+    ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *tie).repartitionByRange(*keys).sortWithinPartitions(*keys)
     end = np.array([end_id], "<u4").tobytes()
 
     def segments(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -136,7 +140,7 @@ def encode_segments(docs: DataFrame, tokenizer_file: str, end_id: int, *, segmen
         if names:
             yield flush()
 
-    return ordered.mapInArrow(segments, SEGMENTS)
+    return ordered.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(segments, SEGMENTS)
 
 
 def with_starts(segments: DataFrame) -> DataFrame:

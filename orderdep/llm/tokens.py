@@ -5,7 +5,6 @@ from __future__ import annotations
 import json
 import re
 from array import array
-from unicodedata import is_normalized
 
 import numpy as np
 
@@ -14,8 +13,12 @@ CACHE_PIECES = 700_000
 #: The same where executors have other work that needs the memory.
 FEW_PIECES = 250_000
 _LONG = 48
-#: A letter and the ASCII signs behind it, up to the end of a piece.
-_SIGNED = re.compile(r"(.*[^\W\d_])([!-/:-@\[-`{-~]+)", re.DOTALL)
+#: Letters whose normal form, lower case and class are the same in every Unicode version and that stay one letter: A to Z
+#: and Latin letters in composed form below U+0250, but the dotted capital I, whose lower case ends in a combining mark.
+_LETTERS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u024f"
+_WORD = re.compile(f"[{_LETTERS}]+")
+#: Such a letter and the ASCII signs behind it, up to the end of a piece.
+_SIGNED = re.compile(f"(.*[{_LETTERS}])([!-/:-@\\[-`{{-~]+)", re.DOTALL)
 
 
 def tokenizer_path(name: str) -> str:
@@ -45,20 +48,19 @@ class _Pieces(dict):
     def _ids(self, piece: str) -> bytes:
         if not piece and not self.prefix:
             return b""
-        if piece.isalpha():
-            if self.normalized and piece.isascii() and not piece.islower():
-                return self[piece.lower()]
-        else:
-            m = _SIGNED.fullmatch(piece)
-            if m and m[1][-1].isalpha():  # a word and the signs behind it never share a token
-                return self[m[1]] + self.plain[m[2]]
-            if not self.normalized and "\n" in piece:
-                head, _, tail = piece.partition("\n")
-                if head and tail and not head[-1].isspace() and not tail[0].isspace():  # a line break alone is a piece of its own
-                    return self[head] + self.plain["\n"] + self.plain[tail]
-        if piece.isalpha() and (not self.normalized or piece.isascii() or (piece == piece.lower() and is_normalized("NFC", piece))):
+        if _WORD.fullmatch(piece):
+            low = piece.lower() if self.normalized else piece
+            if low != piece:
+                return self[low]
             word = piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.letters)
             return array("I", [t.id for t in self.model.tokenize(self.lead + word)]).tobytes()
+        m = _SIGNED.fullmatch(piece)
+        if m:  # a letter and the signs behind it never share a token
+            return self[m[1]] + self.plain[m[2]]
+        if not self.normalized and "\n" in piece:
+            head, _, tail = piece.partition("\n")
+            if head and tail and not head[-1].isspace() and not tail[0].isspace():  # a line break alone is a piece of its own
+                return self[head] + self.plain["\n"] + self.plain[tail]
         return array("I", self.tokenizer.encode(self.prefix + piece, add_special_tokens=False).ids).tobytes()
 
     def __missing__(self, piece: str) -> bytes:
@@ -74,11 +76,11 @@ class _Pieces(dict):
 
 
 class TextEncoder:
-    """Whole texts to ids, equal to ``Tokenizer.encode(text, add_special_tokens=False).ids``.
+    """Whole texts to ids, equal to ``Tokenizer.from_file(path).encode(text, add_special_tokens=False).ids``.
 
-    Strings of special tokens count as ordinary text.  Where the tokenizer's own pre-tokenizer always ends a piece
-    before a space with a letter, digit or sign behind it, a text is cut there and each different piece is encoded once;
-    otherwise whole texts are encoded.
+    Where the tokenizer's own pre-tokenizer always ends a piece before a space with a letter, digit or sign behind it, a
+    text is cut there and each different piece is encoded once; otherwise whole texts are encoded, as are texts that
+    hold the string of a special token, which the library makes that token (``special_as_text``: ordinary text).
     """
 
     #: Splits after which both the part before and the part behind encode on their own.
@@ -86,13 +88,15 @@ class TextEncoder:
     _ODD = re.compile(r" (?:[\s\x1c-\x1f]|$)", re.ASCII)
     _WIDE = re.compile(r" [\x1c-\x1f\x85\xa0  -     　]")
 
-    def __init__(self, path: str, most: int = CACHE_PIECES):
+    def __init__(self, path: str, most: int = CACHE_PIECES, special_as_text: bool = False):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        self.tokenizer.encode_special_tokens = special_as_text
         with open(path, encoding="utf-8") as f:
             spec = json.load(f)
+        added = [t["content"] for t in spec.get("added_tokens") or () if not (special_as_text and t["special"])]
+        self.added = re.compile("|".join(map(re.escape, added))).search if added else None
         norm, pre = spec.get("normalizer"), spec.get("pre_tokenizer") or {}
         parts = pre.get("pretokenizers", [pre])
         spaces_dropped = any(p.get("type") == "Split" and p.get("behavior") == "Removed" and p.get("invert") for p in parts) and norm is not None
@@ -104,6 +108,8 @@ class TextEncoder:
     def encode(self, text: str | None) -> bytes:
         if not text:
             return b""
+        if self.added and self.added(text):
+            return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
         if self.kind == "dropped":
             return b"".join(map(self.first.__getitem__, text.replace("\n", " ").split(" ")))
         if self.kind == "leading":
