@@ -436,30 +436,6 @@ def test_quality_counts_and_verdicts(spark, rows, empty):
     assert robust_rules.keep(empty.withColumns({"lang": F.lit("x"), "source": F.lit("y")})).count() == 0
 
 
-def test_mcd_against_numpy(spark):
-    """Every step of the estimate again in numpy, with the same bins."""
-    rng = np.random.default_rng(13)
-    n, d = 400, robust_rules.DIMS
-    x = rng.normal(size=(n, d)) @ rng.normal(size=(d, d)) * 2 + 5
-    x[:40] += 60
-    df = spark.createDataFrame([("g", *map(float, r)) for r in x], "g string, " + ", ".join(f"{z} double" for z in robust_rules.Z))
-    row = robust_rules.estimate(df).first()
-    centre = np.array([row[f"__own_m{k}"] for k in range(d)])
-    pick = lambda v, share: np.sort(np.floor(v).astype(int))[int(np.ceil(share * n)) - 1]
-    b = robust_rules._BIN
-    m = np.array([(pick(x[:, k] * b, 0.5) + 0.5) / b for k in range(d)])
-    s = np.array([max(1.0, (pick(abs(x[:, k] - m[k]) * b, 0.5) + 0.5) / b * 1.4826) for k in range(d)])
-    low = np.diag(s)
-    for _ in range(robust_rules.STEPS):
-        y = np.linalg.solve(low, (x - m).T)
-        bins = np.floor(np.log1p((y**2).sum(0)) * robust_rules._D_BIN).astype(int)
-        inner = x[bins <= pick(bins, robust_rules.SUBSET)]
-        m = inner.mean(0)
-        low = np.linalg.cholesky(np.cov(inner.T, bias=True) * robust_rules.CONSISTENCY + np.eye(d))
-    assert np.allclose(centre, m, atol=1e-6)
-    assert np.allclose([row[f"__own_l{i}{j}"] for i, j in robust_rules.CELLS], [low[i, j] for i, j in robust_rules.CELLS], atol=1e-6)
-
-
 # all
 
 
