@@ -1,30 +1,38 @@
-"""Stupid-backoff scores of documents under bigram counts of the same corpus.
+"""Stupid-backoff scores of documents under the n-gram counts of all other documents.
 
-Words: lower case (A-Z), cut at white space.  The vocabulary is every word that occurs at least t times, t being
-the smallest count with which at most ``VOCABULARY`` words are left; all other words are one unknown word, which is
-counted like any other.  A document starts behind a start mark.  For word b behind a:
+Words: lower case (A-Z), cut at white space; every word and every n-gram up to ``order`` words counts.  With f(g) the
+count of g in all documents less its count in the document itself, the word behind the context u is scored
 
-    S(b | a) = c(a b) / c(a)            if c(a b) >= min_count
-             = 0.4 * c(b) / N           otherwise
+    S(w | u) = f(u w) / f(u)        if f(u w) > 0
+             = 0.4 * S(w | u')      otherwise, u' being u without its first word
+    S(w)     = f(w) / F, or 0.4 / F where f(w) = 0          (F: words of all other documents, 1 at least)
 
-Counts come from all documents.  Each task turns its documents into blocks: for each hash bucket of bigrams the
-different bigrams, and per bigram the documents that hold it.  A bucket's task adds up the counts of all blocks (its
-part of the count table), joins them to the blocks' own bigrams and sums by document; sums of the buckets are added at
-the end.  A frequent bigram takes one entry a document, so no bucket grows with how often a word is repeated.
+u is what precedes w in the document, order - 1 words at most.  A document that stands in the corpus twice is thus
+predicted by its copy; one that stands there alone backs off wherever it says something of its own.
 
-The vocabulary is the only thing sent to all tasks; its size is bounded by the parameter.
-Null and empty texts have no words: score 0, mean null.
+Three tables, each dealt by hash:
+
+1. Chunks: some documents as word numbers, with the 64-bit hashes of their different words.  A chunk's n-grams of all
+   orders become one sorted list of different 64-bit hashes with their counts, cut into buckets of the hash space.  An
+   n-gram has one entry a chunk, however many documents hold it, so no n-gram is hot.
+2. The count table: a bucket's task adds the counts of all chunks up and joins the totals back to each chunk's list.
+3. A chunk's task joins the totals to its documents' own n-grams, subtracts their own counts, backs off and sums.
+
+The lists travel as packed columns (differences of sorted hashes), since a row for each document and n-gram needs more
+than the disk that the operator may use; README has the figures.  Nothing is sent to all tasks and nothing is cut off.
+
+Null and empty texts have no words: score 0, mean null.  ``doc_id`` is an integer or null; rows with the same id are documents
+of their own.  Other columns are not read.  Empty table: empty result.
 """
 
 from __future__ import annotations
 
 import math
-from collections import Counter
 from collections.abc import Iterator
-from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
@@ -32,179 +40,198 @@ from pyspark.sql import functions as F
 
 from .common import stored
 
-VOCABULARY = 65_000
-MIN_COUNT = 2
+ORDER = 3
 BACKOFF = 0.4
-#: Words that a block gathers, and bytes of blocks that a bucket's task may hold.
-CHUNK_WORDS = 300_000
-BUCKET_BYTES = 16 << 20
-_UNKNOWN, _START, _FIRST = 0, 1, 2
+#: Words after which a chunk is closed; a document is never cut.
+CHUNK_WORDS = 1 << 20
+#: n-grams of a bucket of the hash space, and the fewest that a chunk's part of a bucket should have.
+BUCKET_GRAMS, LEAST_PART = 1 << 22, 64
+#: Different words whose hashes a worker remembers.
+KNOWN_WORDS = 400_000
 _LOWER = bytes(b + 32 if 0x41 <= b <= 0x5A else b for b in range(256))
+_A, _B, _C = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
 def words_of(text: bytes | None) -> list[bytes]:
     return text.translate(_LOWER).split() if text else []
 
 
-def word_counts(docs: DataFrame) -> DataFrame:
-    """(word binary, n)."""
+class _Hashes(dict):
+    def __missing__(self, word: bytes) -> int:
+        if len(self) >= KNOWN_WORDS:
+            self.clear()
+        self[word] = h = xxhash.xxh3_64_intdigest(word)
+        return h
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counts: Counter = Counter()
-
-        def out() -> pa.RecordBatch:
-            got = pa.RecordBatch.from_arrays([pa.array(list(counts), pa.binary()), pa.array(list(counts.values()), pa.int64())], names=["word", "n"])
-            counts.clear()
-            return got
-
-        for b in batches:
-            for t in b.column(0):
-                counts.update(words_of(t.as_py()))
-                if len(counts) >= CHUNK_WORDS:
-                    yield out()
-        yield out()
-
-    return docs.select(F.col("text").cast("string").cast("binary").alias("text")).mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
-
-
-class Vocabulary:
-    def __init__(self, words: list[tuple[bytes, int]], total: int, documents: int):
-        words = sorted(words)
-        self.ids = {w: k for k, (w, _) in enumerate(words, _FIRST)}
-        known = sum(n for _, n in words)
-        self.log_count = np.log(np.array([max(1, total - known), max(1, documents), *[n for _, n in words]], float))
-        self.log_total = math.log(max(1, total))
-        self.total = total
 
+def _pack(a: np.ndarray) -> bytes:
+    """Bytes of the same place side by side, compressed."""
+    return zstandard.compress(np.ascontiguousarray(a.view(np.uint8).reshape(-1, a.itemsize).T), 1)
 
-def vocabulary(docs: DataFrame, size: int = VOCABULARY) -> Vocabulary:
-    counts = stored(word_counts(docs), "lm-words")
-    levels = counts.groupBy("n").agg(F.count("*").alias("words")).orderBy(F.desc("n"))
-    have, least = 0, None
-    for n, words in levels.toLocalIterator():  # one row for each different count; stops when the vocabulary is full
-        if have + words > size:
-            break
-        have, least = have + words, n
-    total = counts.agg(F.sum("n")).first()[0] or 0
-    with_words = docs.where(F.coalesce(F.col("text").cast("string"), F.lit("")).rlike("[^ \\t-\\r]")).count()
-    rows = counts.where(F.col("n") >= least).collect() if least is not None else []
-    return Vocabulary([(bytes(r["word"]), r["n"]) for r in rows], total, with_words)
 
+def _unpack(raw: bytes, kind) -> np.ndarray:
+    size = np.dtype(kind).itemsize
+    return np.ascontiguousarray(np.frombuffer(zstandard.decompress(raw), np.uint8).reshape(size, -1).T).view(kind).ravel()
 
-def _pack(a: np.ndarray) -> bytes:
-    return zstandard.compress(a.tobytes(), 1)
 
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * _B
+    x = (x ^ (x >> np.uint64(27))) * _C
+    return x ^ (x >> np.uint64(31))
 
-def _unpack(raw: bytes, kind) -> np.ndarray:
-    return np.frombuffer(zstandard.decompress(raw), kind)
 
+def gram_hashes(hashes: np.ndarray, place: np.ndarray, order: int) -> list[np.ndarray]:
+    """Per order the hash of the n-gram that ends at each word; ``place``: words before it in its document.
 
-def _deltas(keys: np.ndarray) -> bytes:
-    d = np.diff(keys, prepend=np.uint64(0))
-    return _pack(np.ascontiguousarray(d.view(np.uint8).reshape(-1, 8).T))  # equal bytes side by side
+    Where a document has too few words before, the entry is that of the longest n-gram there is.
+    """
+    out = [_mixed(hashes + _A)]
+    for n in range(1, order):
+        longer = out[-1].copy()
+        at = np.flatnonzero(place >= n)
+        longer[at] = _mixed(out[-1][at - 1] * _A + hashes[at] + np.uint64(n))
+        out.append(longer)
+    return out
 
 
-def _keys(raw: bytes) -> np.ndarray:
-    return np.cumsum(np.ascontiguousarray(_unpack(raw, np.uint8).reshape(8, -1).T).view(np.uint64).ravel(), dtype=np.uint64)
+def _places(sizes: np.ndarray) -> np.ndarray:
+    starts = np.cumsum(sizes) - sizes
+    return np.arange(int(sizes.sum())) - np.repeat(starts, sizes)
 
 
-_SPREAD = np.uint64(0x9E3779B97F4A7C15)
-_BACK = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
-BLOCKS = "bucket int, chunk long, doc_ids binary, locals binary, n_words binary, keys binary, sizes binary, docs binary, counts binary"
+CHUNKS = "chunk long, n_words long, doc_ids binary, have binary, sizes binary, words binary, numbers binary"
 
 
-def blocks(docs: DataFrame, shared, buckets: int) -> DataFrame:
-    """Bigrams of the documents by bucket of their hash; the hash can be undone, so it is the key itself."""
+def chunks(docs: DataFrame, chunk_words: int = CHUNK_WORDS) -> DataFrame:
+    """Documents as numbers into the hashes of the different words of their chunk."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        v, chunk = shared.value, TaskContext.get().partitionId() << 32
-        get = v.ids.get
+        known, chunk = _Hashes(), TaskContext.get().partitionId() << 32
         ids: list[int | None] = []
-        words: list[np.ndarray] = []
+        hashes: list[np.ndarray] = []
         held = 0
 
         def out() -> pa.RecordBatch:
-            sizes = np.array([len(w) for w in words], np.int64)
-            doc = np.repeat(np.arange(len(words), dtype=np.uint64), sizes)
-            after = np.concatenate(words) if words else np.zeros(0, np.uint64)
-            before = np.concatenate([[_START], after[:-1]]).astype(np.uint64)[: len(after)]
-            before[(np.cumsum(sizes) - sizes)[sizes > 0]] = _START
-            key = ((before << np.uint64(32)) | after) * _SPREAD
-            order = np.lexsort((doc, key))
-            key, doc = key[order], doc[order]
-            first = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (doc[1:] != doc[:-1])])) if len(key) else np.zeros(0, np.int64)
-            count = np.diff(np.concatenate([first, [len(key)]])).astype(np.uint32)
-            key, doc = key[first], doc[first].astype(np.uint32)
-            cut = np.searchsorted(key, np.array([(k << 64) // buckets for k in range(1, buckets)], np.uint64)) if buckets > 1 else np.zeros(0, np.int64)
-            rows = []
-            for k, (a, b) in enumerate(zip([0, *cut], [*cut, len(key)])):
-                at = np.unique(doc[a:b]) if k else np.arange(len(ids), dtype=np.uint32)
-                new = np.flatnonzero(np.concatenate([[True], key[a + 1 : b] != key[a : b - 1]])) if b > a else np.zeros(0, np.int64)
-                told = np.array([ids[i] if ids[i] is not None else _NO_ID for i in at.tolist()], np.int64)
-                rows.append((k, chunk, _pack(told), _pack(at), _pack(sizes if k == 0 else np.zeros(0, np.int64)), _deltas(key[a:b][new]), _pack(np.diff(np.concatenate([new, [b - a]])).astype(np.uint32)), _pack(np.searchsorted(at, doc[a:b]).astype(np.uint32)), _pack(count[a:b])))
-            kinds = [pa.int32(), pa.int64()] + [pa.binary()] * 7
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=[x.split()[0] for x in BLOCKS.split(", ")])
+            words, numbers, times = np.unique(np.concatenate(hashes), return_inverse=True, return_counts=True)
+            turn = np.argsort(-times, kind="stable")  # frequent words get small numbers
+            rank = np.empty(len(turn), np.uint32)
+            rank[turn] = np.arange(len(turn))
+            have = np.array([i is not None for i in ids], np.uint8)
+            sizes = np.array([len(h) for h in hashes], np.uint32)
+            columns = (chunk, held, _pack(np.array([i or 0 for i in ids], np.int64)), _pack(have), _pack(sizes), _pack(words[turn]), _pack(rank[numbers]))
+            return pa.RecordBatch.from_arrays([pa.array([c], pa.int64() if k < 2 else pa.binary()) for k, c in enumerate(columns)], names=[c.split()[0] for c in CHUNKS.split(", ")])
 
         for b in batches:
             for doc_id, t in zip(b.column(0).to_pylist(), b.column(1)):
                 w = words_of(t.as_py())
                 ids.append(doc_id)
-                words.append(np.fromiter(map(get, w, repeat(_UNKNOWN)), np.uint64, len(w)))
+                hashes.append(np.fromiter(map(known.__getitem__, w), np.uint64, len(w)))
                 held += len(w)
-                if held >= CHUNK_WORDS:
+                if held >= chunk_words:
                     yield out()
-                    ids, words, held, chunk = [], [], 0, chunk + 1
+                    ids, hashes, held, chunk = [], [], 0, chunk + 1
         if ids:
             yield out()
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").cast("binary").alias("text")).mapInArrow(run, BLOCKS)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").cast("binary").alias("text")).mapInArrow(run, CHUNKS)
+
+
+def _grams(sizes: np.ndarray, words: np.ndarray, numbers: np.ndarray, order: int) -> tuple[np.ndarray, list[np.ndarray]]:
+    place = _places(sizes.astype(np.int64))
+    return place, gram_hashes(words[numbers], place, order)
+
 
+def _different(place: np.ndarray, grams: list[np.ndarray]) -> np.ndarray:
+    """All n-grams of a chunk, each as often as it stands there (short contexts do not count twice)."""
+    return np.concatenate([g if n == 0 else g[place >= n] for n, g in enumerate(grams)])
 
-_NO_ID = -(1 << 63)
 
+LISTS = "bucket int, chunk long, keys binary, counts binary"
 
-def bucket_sums(rows: DataFrame, shared, min_count: int) -> DataFrame:
-    """(chunk, local, doc_id, n_words, score) with one row for each document that a bucket's block holds."""
 
-    def score(bucket: list[tuple], v: Vocabulary) -> Iterator[pa.RecordBatch]:
-        keys = [_keys(r[5]) for r in bucket]
-        sizes = [_unpack(r[6], np.uint32).astype(np.int64) for r in bucket]
-        counts = [_unpack(r[8], np.uint32) for r in bucket]
-        own = [np.add.reduceat(c, np.cumsum(s) - s, dtype=np.int64) if len(s) else np.zeros(0, np.int64) for c, s in zip(counts, sizes)]
-        table, where = np.unique(np.concatenate(keys), return_inverse=True)
-        total = np.bincount(where, weights=np.concatenate(own), minlength=len(table))
-        pair = table * _BACK
-        before, after = (pair >> np.uint64(32)).astype(np.int64), (pair & np.uint64(0xFFFFFFFF)).astype(np.int64)
-        value = np.where(total >= min_count, np.log(np.maximum(total, 1)) - v.log_count[before], math.log(BACKOFF) + v.log_count[after] - v.log_total)
-        at = 0
-        for r, k, s, c in zip(bucket, keys, sizes, counts):
-            told, place = _unpack(r[2], np.int64), _unpack(r[3], np.uint32)
-            mine = np.repeat(value[where[at : at + len(k)]], s) * c
-            at += len(k)
-            sums = np.bincount(_unpack(r[7], np.uint32), weights=mine, minlength=len(told))
-            n = _unpack(r[4], np.int64) if r[0] == 0 else np.zeros(len(told), np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(told), r[1])), pa.array(place.astype(np.int64)), pa.array(told), pa.array(n), pa.array(sums)], names=["chunk", "local", "doc_id", "n_words", "score"])
+def lists(told: DataFrame, order: int, buckets: int) -> DataFrame:
+    """Each chunk's different n-grams with their counts, by bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple] = []
+        edges = np.array([(k << 64) // buckets for k in range(1, buckets)], np.uint64)
         for b in batches:
-            for r in zip(*[c.to_pylist() for c in b.columns]):
-                if held and r[0] != held[0][0]:
-                    yield from score(held, shared.value)
-                    held = []
-                held.append(r)
-        if held:
-            yield from score(held, shared.value)
+            for chunk, sizes, words, numbers in zip(*[b.column(k).to_pylist() for k in range(4)]):
+                keys, counts = np.unique(_different(*_grams(_unpack(sizes, np.uint32), _unpack(words, np.uint64), _unpack(numbers, np.uint32), order)), return_counts=True)
+                cut = [0, *np.searchsorted(keys, edges).tolist(), len(keys)]
+                rows = [(k, chunk, _pack(np.diff(keys[x:y], prepend=np.uint64(0))), _pack(counts[x:y].astype(np.uint32))) for k, (x, y) in enumerate(zip(cut, cut[1:])) if y > x]
+                for at in range(0, len(rows), 512):
+                    kinds = (pa.int32(), pa.int64(), pa.binary(), pa.binary())
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows[at : at + 512]), kinds)], names=[c.split()[0] for c in LISTS.split(", ")])
 
-    return rows.mapInArrow(run, "chunk long, local long, doc_id long, n_words long, score double")
+    return told.select("chunk", "sizes", "words", "numbers").mapInArrow(run, LISTS)
 
 
-def scores(docs: DataFrame, *, vocabulary_size: int = VOCABULARY, min_count: int = MIN_COUNT) -> DataFrame:
+def _gathered(batches: Iterator[pa.RecordBatch]) -> Iterator[list[tuple]]:
+    """Runs of rows with the same first column."""
+    held: list[tuple] = []
+    for b in batches:
+        for r in zip(*[c.to_pylist() for c in b.columns]):
+            if held and r[0] != held[0][0]:
+                yield held
+                held = []
+            held.append(r)
+    if held:
+        yield held
+
+
+def totals(dealt: DataFrame) -> DataFrame:
+    """(bucket, chunk, keys, counts) dealt and sorted by bucket -> (chunk, bucket, totals) in the order of the keys."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in _gathered(batches):
+            keys = [np.cumsum(_unpack(r[2], np.uint64), dtype=np.uint64) for r in rows]
+            table, where = np.unique(np.concatenate(keys), return_inverse=True)
+            total = np.bincount(where, weights=np.concatenate([_unpack(r[3], np.uint32) for r in rows]), minlength=len(table)).astype(np.uint64)
+            at = np.cumsum([0, *map(len, keys)]).tolist()
+            told = [_pack(total[where[x:y]]) for x, y in zip(at, at[1:])]
+            yield pa.RecordBatch.from_arrays([pa.array([r[1] for r in rows], pa.int64()), pa.array([r[0] for r in rows], pa.int32()), pa.array(told, pa.binary())], names=["chunk", "bucket", "totals"])
+
+    return dealt.mapInArrow(run, "chunk long, bucket int, totals binary")
+
+
+def log_scores(sizes: np.ndarray, words: np.ndarray, numbers: np.ndarray, total: np.ndarray, n_all: int, order: int) -> np.ndarray:
+    """Per document of a chunk the sum of log S; ``total``: counts of the chunk's different n-grams in hash order."""
+    place, grams = _grams(sizes, words, numbers, order)
+    doc = np.repeat(np.arange(len(sizes)), sizes)
+    keys = np.unique(_different(place, grams))
+    if len(keys) != len(total):
+        raise ValueError("totals of another chunk")
+    others = []  # per order, of the n-gram that ends at each word: its count in other documents
+    for g in grams:
+        number = np.searchsorted(keys, g)
+        own = np.unique((doc.astype(np.uint64) << np.uint64(32)) | number.astype(np.uint64), return_inverse=True, return_counts=True)
+        others.append(total[number].astype(np.int64) - own[2][own[1]])
+    rest = np.maximum(n_all - np.repeat(sizes.astype(np.int64), sizes), 1)
+    value = np.where(others[0] > 0, np.log(np.maximum(others[0], 1)), math.log(BACKOFF)) - np.log(rest)
+    for n in range(1, order):
+        at = np.flatnonzero(place >= n)
+        f, context = others[n][at], others[n - 1][at - 1]
+        value[at] = np.where(f > 0, np.log(np.maximum(f, 1)) - np.log(np.maximum(context, 1)), math.log(BACKOFF) + value[at])
+    return np.bincount(doc, weights=value, minlength=len(sizes))
+
+
+def scores(docs: DataFrame, *, order: int = ORDER, chunk_words: int = CHUNK_WORDS, bucket_grams: int = BUCKET_GRAMS) -> DataFrame:
     """One row per document: doc_id, n_words, log_score (natural), mean_log_score."""
-    v = vocabulary(docs, vocabulary_size)
-    shared = docs.sparkSession.sparkContext.broadcast(v)
-    buckets = max(16, -(-v.total * 4 // BUCKET_BYTES))
-    dealt = blocks(docs, shared, buckets).repartition(buckets, "bucket").sortWithinPartitions("bucket", "chunk")
-    total = bucket_sums(dealt, shared, min_count).groupBy("chunk", "local").agg(F.min("doc_id").alias("doc_id"), F.sum("n_words").alias("n_words"), F.sum("score").alias("log_score"))
-    doc_id = F.when(F.col("doc_id") != _NO_ID, F.col("doc_id")).alias("doc_id")
-    return total.select(doc_id, "n_words", "log_score", F.when(F.col("n_words") > 0, F.col("log_score") / F.col("n_words")).alias("mean_log_score"))
+    told = stored(chunks(docs, chunk_words), "lm-chunks", codec="none")
+    n_all, most = told.agg(F.coalesce(F.sum("n_words"), F.lit(0)), F.coalesce(F.max("n_words"), F.lit(0))).first()
+    buckets = max(1, min(-(-n_all * order // bucket_grams), most * order // LEAST_PART))
+    parts = max(buckets, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    dealt = lists(told, order, buckets).repartition(parts, "bucket").sortWithinPartitions("bucket", "chunk")
+    none = F.lit(None).cast("binary")
+    whole = told.select("chunk", F.lit(-1).alias("bucket"), none.alias("totals"), "doc_ids", "have", "sizes", "words", "numbers")
+    counted = totals(dealt).select("chunk", "bucket", "totals", *[none.alias(c) for c in ("doc_ids", "have", "sizes", "words", "numbers")])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows in _gathered(batches):
+            doc_ids, have, sizes, words, numbers = (_unpack(raw, kind) for raw, kind in zip(rows[0][3:], (np.int64, np.uint8, np.uint32, np.uint64, np.uint32)))
+            total = np.concatenate([np.zeros(0, np.uint64), *[_unpack(r[2], np.uint64) for r in rows[1:]]])
+            found = log_scores(sizes, words, numbers, total, n_all, order)
+            yield pa.RecordBatch.from_arrays([pa.array(doc_ids, mask=have == 0), pa.array(sizes.astype(np.int64)), pa.array(found)], names=["doc_id", "n_words", "log_score"])
+
+    found = whole.unionByName(counted).repartition("chunk").sortWithinPartitions("chunk", "bucket").mapInArrow(run, "doc_id long, n_words long, log_score double")
+    return found.withColumn("mean_log_score", F.when(F.col("n_words") > 0, F.col("log_score") / F.col("n_words")))

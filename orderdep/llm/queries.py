@@ -103,30 +103,26 @@ FROM d LEFT JOIN t USING (r) LEFT JOIN kept USING (r)
 
 
 def op6_backoff_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Stupid-backoff score of every document under the bigram counts of all documents."""
+    """Stupid-backoff score of every document under the trigram, bigram and word counts of all others."""
     found = backoff_lm.scores(table(spark, sf_dir, "documents"))
     return found.select("doc_id", "n_words", F.round("log_score", 4).alias("log_score"), F.round("mean_log_score", 6).alias("mean_log_score"))
 
 
 QUERIES["op6_backoff_lm"] = op6_backoff_lm
 SQL["op6_backoff_lm"] = r"""
-WITH d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
-t AS (SELECT doc_id, i, w[i] AS b, CASE WHEN i > 1 THEN w[i - 1] END AS a FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM d)),
-words AS (SELECT b AS word, count(*) AS n FROM t GROUP BY b),
-levels AS (SELECT n, sum(count(*)) OVER (ORDER BY n DESC) AS have FROM words GROUP BY n),
-v AS (SELECT word, n FROM words WHERE n >= (SELECT min(n) FROM levels WHERE have <= 65000)),
-totals AS (SELECT count(*) AS n FROM t),
-unknown AS (SELECT greatest(1, (SELECT n FROM totals) - (SELECT coalesce(sum(n), 0) FROM v)) AS n),
-starts AS (SELECT count(*) AS n FROM d WHERE len(w) > 0),
-g AS (SELECT doc_id, coalesce(y.word, '<unk>') AS b, coalesce(y.n, (SELECT n FROM unknown)) AS nb,
-             CASE WHEN t.a IS NULL THEN '<start>' ELSE coalesce(x.word, '<unk>') END AS a,
-             CASE WHEN t.a IS NULL THEN (SELECT n FROM starts) ELSE coalesce(x.n, (SELECT n FROM unknown)) END AS na
-      FROM t LEFT JOIN v AS y ON t.b = y.word LEFT JOIN v AS x ON t.a = x.word),
-c AS (SELECT a, b, count(*) AS n FROM g GROUP BY a, b),
-s AS (SELECT doc_id, count(*) AS n_words, sum(CASE WHEN c.n >= 2 THEN ln(c.n) - ln(na) ELSE ln(0.4) + ln(nb) - ln((SELECT n FROM totals)) END) AS log_score
-      FROM g JOIN c ON g.a = c.a AND g.b = c.b GROUP BY doc_id)
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+t AS (SELECT r, len(w) AS n, w[i] AS w1, CASE WHEN i > 1 THEN w[i - 1] || ' ' || w[i] END AS w2, CASE WHEN i > 2 THEN w[i - 2] || ' ' || w[i - 1] || ' ' || w[i] END AS w3,
+             CASE WHEN i > 1 THEN w[i - 1] END AS u1, CASE WHEN i > 2 THEN w[i - 2] || ' ' || w[i - 1] END AS u2
+      FROM (SELECT r, w, unnest(range(1, len(w) + 1)) AS i FROM d)),
+own AS (SELECT r, g, count(*) AS c FROM (SELECT r, w1 AS g FROM t UNION ALL SELECT r, w2 FROM t UNION ALL SELECT r, w3 FROM t) WHERE g IS NOT NULL GROUP BY r, g),
+others AS (SELECT r, g, sum(c) OVER (PARTITION BY g) - c AS f FROM own),
+x AS (SELECT t.r, greatest((SELECT count(*) FROM t) - n, 1) AS n, a.f AS f1, b.f AS f2, c.f AS f3, p.f AS c1, q.f AS c2
+      FROM t JOIN others AS a ON a.r = t.r AND a.g = w1 LEFT JOIN others AS b ON b.r = t.r AND b.g = w2 LEFT JOIN others AS c ON c.r = t.r AND c.g = w3
+             LEFT JOIN others AS p ON p.r = t.r AND p.g = u1 LEFT JOIN others AS q ON q.r = t.r AND q.g = u2),
+s AS (SELECT r, count(*) AS n_words, sum(CASE WHEN f3 > 0 THEN ln(f3) - ln(c2) WHEN f2 > 0 THEN ln(f2) - ln(c1) ELSE ln(CASE WHEN f1 > 0 THEN f1 ELSE 0.4 END) - ln(n) END
+             + CASE WHEN f3 IS NULL OR f3 > 0 THEN 0 ELSE ln(0.4) END + CASE WHEN f3 > 0 OR f2 IS NULL OR f2 > 0 THEN 0 ELSE ln(0.4) END) AS log_score FROM x GROUP BY r)
 SELECT d.doc_id, coalesce(s.n_words, 0) AS n_words, round(coalesce(s.log_score, 0), 4) AS log_score, round(s.log_score / s.n_words, 6) AS mean_log_score
-FROM d LEFT JOIN s USING (doc_id)
+FROM d LEFT JOIN s USING (r)
 """
 
 

@@ -248,24 +248,31 @@ def test_packing(docs, rows, empty, most, cut):
 # 6
 
 
-def test_backoff_scores(docs, rows, empty):
+@pytest.mark.parametrize("order,chunk_words,bucket_grams", [(3, 1 << 20, 1 << 22), (2, 300, 500), (4, 50, 200), (1, 1, 100)])
+def test_backoff_scores(spark, docs, rows, empty, order, chunk_words, bucket_grams):
     import math
 
-    got = {(r[0], r[1]): (r[2], r[3]) for r in backoff_lm.scores(extra(docs), vocabulary_size=20).collect()}
-    words = [[w.decode() for w in backoff_lm.words_of((t or "").encode())] for _, t in rows]
-    counts = collections.Counter(w for ws in words for w in ws)
-    least = min((n for n in counts.values() if sum(c >= n for c in counts.values()) <= 20), default=None)
-    known = {w for w, n in counts.items() if least is not None and n >= least}
-    mapped = [[w if w in known else None for w in ws] for ws in words]
-    one = collections.Counter(w for ws in mapped for w in ws)
-    two = collections.Counter(p for ws in mapped for p in zip(["<s>", *ws], ws))
-    one["<s>"] = sum(bool(ws) for ws in words)
-    total = sum(len(ws) for ws in words)
-    for (i, _), ws in zip(rows, mapped):
-        want = sum(math.log(two[p] / one[p[0]]) if two[p] >= 2 else math.log(0.4 * one[p[1]] / total) for p in zip(["<s>", *ws], ws))
-        score, mean = got[(i, len(ws))]
-        assert score == pytest.approx(want, abs=1e-6) and (mean is None) == (not ws)
-    assert backoff_lm.scores(empty).count() == 0
+    rows = [*rows, (7001, "one two three one two four"), (7002, "five one two three"), (7002, "five one two three"), (None, "one")]
+    words = [backoff_lm.words_of((t or "").encode()) for _, t in rows]
+    own = [collections.Counter(tuple(w[i : i + n]) for n in range(1, order + 1) for i in range(len(w) - n + 1)) for w in words]
+    every = sum(own, collections.Counter())
+    n_all = sum(map(len, words))
+    want = []
+    for (i, _), w, mine in zip(rows, words, own):
+        def share(u: tuple, x: bytes) -> float:
+            f = every[(*u, x)] - mine[(*u, x)]  # noqa: B023
+            if u:
+                return f / (every[u] - mine[u]) if f else 0.4 * share(u[1:], x)  # noqa: B023
+            return (f or 0.4) / max(1, n_all - len(w))  # noqa: B023
+
+        total = sum(math.log(share(tuple(w[max(0, k - order + 1) : k]), x)) for k, x in enumerate(w))
+        want.append((i, len(w), round(total, 6), round(total / len(w), 6) if w else None))
+    df = extra(spark.createDataFrame(rows, SCHEMA))
+    got = [(r[0], r[1], round(r[2], 6), None if r[3] is None else round(r[3], 6)) for r in backoff_lm.scores(df, order=order, chunk_words=chunk_words, bucket_grams=bucket_grams).collect()]
+    by = lambda r: (r[0] is not None, r[0] or 0, *r[1:3])
+    for x, y in zip(sorted(got, key=by), sorted(want, key=by), strict=True):
+        assert x[:2] == y[:2] and math.isclose(x[2], y[2], abs_tol=2e-6) and (x[3] is y[3] or math.isclose(x[3], y[3], abs_tol=2e-6))
+    assert backoff_lm.scores(empty, order=order).count() == 0
 
 
 # 7
