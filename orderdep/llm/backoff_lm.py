@@ -28,6 +28,7 @@ of their own.  Other columns are not read.  Empty table: empty result.
 from __future__ import annotations
 
 import math
+import struct
 from collections.abc import Iterator
 
 import numpy as np
@@ -43,11 +44,12 @@ from .common import stored
 ORDER = 3
 BACKOFF = 0.4
 #: Words after which a chunk is closed; a document is never cut.
-CHUNK_WORDS = 1 << 20
+CHUNK_WORDS = 1 << 21
 #: n-grams of a bucket of the hash space, and the fewest that a chunk's part of a bucket should have.
 BUCKET_GRAMS, LEAST_PART = 1 << 22, 64
 #: Different words whose hashes a worker remembers.
 KNOWN_WORDS = 400_000
+_HEAD, _SIZE = struct.Struct("<QB"), struct.Struct("<I")
 _LOWER = bytes(b + 32 if 0x41 <= b <= 0x5A else b for b in range(256))
 _A, _B, _C = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
@@ -65,13 +67,36 @@ class _Hashes(dict):
 
 
 def _pack(a: np.ndarray) -> bytes:
-    """Bytes of the same place side by side, compressed."""
-    return zstandard.compress(np.ascontiguousarray(a.view(np.uint8).reshape(-1, a.itemsize).T), 1)
+    """The bytes of each place by themselves, compressed: their number, which places are not all zero, and each with its size."""
+    places = np.ascontiguousarray(a.view(np.uint8).reshape(-1, a.itemsize).T)
+    used = [k for k in range(a.itemsize) if places[k].any()]
+    out = [_HEAD.pack(len(a), sum(1 << k for k in used))]
+    for k in used:
+        raw = zstandard.compress(places[k], 1)
+        out += [_SIZE.pack(len(raw)), raw]
+    return b"".join(out)
 
 
 def _unpack(raw: bytes, kind) -> np.ndarray:
-    size = np.dtype(kind).itemsize
-    return np.ascontiguousarray(np.frombuffer(zstandard.decompress(raw), np.uint8).reshape(size, -1).T).view(kind).ravel()
+    n, used = _HEAD.unpack_from(raw)
+    at, size = _HEAD.size, np.dtype(kind).itemsize
+    places = np.zeros((size, n), np.uint8)
+    for k in range(size):
+        if used >> k & 1:
+            (length,) = _SIZE.unpack_from(raw, at)
+            at += _SIZE.size
+            places[k] = np.frombuffer(zstandard.decompress(raw[at : at + length]), np.uint8)
+            at += length
+    return np.ascontiguousarray(places.T).view(kind).ravel()
+
+
+def _pack_steps(a: np.ndarray) -> bytes:
+    """Hashes in ascending stretches, as differences."""
+    return _pack(np.diff(a, prepend=np.uint64(0)))
+
+
+def _unpack_steps(raw: bytes) -> np.ndarray:
+    return np.cumsum(_unpack(raw, np.uint64), dtype=np.uint64)
 
 
 def _mixed(x: np.ndarray) -> np.ndarray:
@@ -113,12 +138,12 @@ def chunks(docs: DataFrame, chunk_words: int = CHUNK_WORDS) -> DataFrame:
 
         def out() -> pa.RecordBatch:
             words, numbers, times = np.unique(np.concatenate(hashes), return_inverse=True, return_counts=True)
-            turn = np.argsort(-times, kind="stable")  # frequent words get small numbers
+            turn = np.argsort(-times, kind="stable")  # frequent words get small numbers; equally frequent ones in order of hashes
             rank = np.empty(len(turn), np.uint32)
             rank[turn] = np.arange(len(turn))
             have = np.array([i is not None for i in ids], np.uint8)
             sizes = np.array([len(h) for h in hashes], np.uint32)
-            columns = (chunk, held, _pack(np.array([i or 0 for i in ids], np.int64)), _pack(have), _pack(sizes), _pack(words[turn]), _pack(rank[numbers]))
+            columns = (chunk, held, _pack(np.array([i or 0 for i in ids], np.int64)), _pack(have), _pack(sizes), _pack_steps(words[turn]), _pack(rank[numbers]))
             return pa.RecordBatch.from_arrays([pa.array([c], pa.int64() if k < 2 else pa.binary()) for k, c in enumerate(columns)], names=[c.split()[0] for c in CHUNKS.split(", ")])
 
         for b in batches:
@@ -156,9 +181,9 @@ def lists(told: DataFrame, order: int, buckets: int) -> DataFrame:
         edges = np.array([(k << 64) // buckets for k in range(1, buckets)], np.uint64)
         for b in batches:
             for chunk, sizes, words, numbers in zip(*[b.column(k).to_pylist() for k in range(4)]):
-                keys, counts = np.unique(_different(*_grams(_unpack(sizes, np.uint32), _unpack(words, np.uint64), _unpack(numbers, np.uint32), order)), return_counts=True)
+                keys, counts = np.unique(_different(*_grams(_unpack(sizes, np.uint32), _unpack_steps(words), _unpack(numbers, np.uint32), order)), return_counts=True)
                 cut = [0, *np.searchsorted(keys, edges).tolist(), len(keys)]
-                rows = [(k, chunk, _pack(np.diff(keys[x:y], prepend=np.uint64(0))), _pack(counts[x:y].astype(np.uint32))) for k, (x, y) in enumerate(zip(cut, cut[1:])) if y > x]
+                rows = [(k, chunk, _pack_steps(keys[x:y]), _pack(counts[x:y].astype(np.uint32))) for k, (x, y) in enumerate(zip(cut, cut[1:])) if y > x]
                 for at in range(0, len(rows), 512):
                     kinds = (pa.int32(), pa.int64(), pa.binary(), pa.binary())
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows[at : at + 512]), kinds)], names=[c.split()[0] for c in LISTS.split(", ")])
@@ -184,7 +209,7 @@ def totals(dealt: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in _gathered(batches):
-            keys = [np.cumsum(_unpack(r[2], np.uint64), dtype=np.uint64) for r in rows]
+            keys = [_unpack_steps(r[2]) for r in rows]
             table, where = np.unique(np.concatenate(keys), return_inverse=True)
             total = np.bincount(where, weights=np.concatenate([_unpack(r[3], np.uint32) for r in rows]), minlength=len(table)).astype(np.uint64)
             at = np.cumsum([0, *map(len, keys)]).tolist()
@@ -202,10 +227,11 @@ def log_scores(sizes: np.ndarray, words: np.ndarray, numbers: np.ndarray, total:
     if len(keys) != len(total):
         raise ValueError("totals of another chunk")
     others = []  # per order, of the n-gram that ends at each word: its count in other documents
-    for g in grams:
-        number = np.searchsorted(keys, g)
-        own = np.unique((doc.astype(np.uint64) << np.uint64(32)) | number.astype(np.uint64), return_inverse=True, return_counts=True)
-        others.append(total[number].astype(np.int64) - own[2][own[1]])
+    while grams:
+        number = np.searchsorted(keys, grams.pop(0))
+        _, where, own = np.unique((doc.astype(np.uint64) << np.uint64(32)) | number.astype(np.uint64), return_inverse=True, return_counts=True)
+        others.append((total[number].astype(np.int64) - own[where]))
+        del number, where
     rest = np.maximum(n_all - np.repeat(sizes.astype(np.int64), sizes), 1)
     value = np.where(others[0] > 0, np.log(np.maximum(others[0], 1)), math.log(BACKOFF)) - np.log(rest)
     for n in range(1, order):
@@ -228,7 +254,8 @@ def scores(docs: DataFrame, *, order: int = ORDER, chunk_words: int = CHUNK_WORD
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in _gathered(batches):
-            doc_ids, have, sizes, words, numbers = (_unpack(raw, kind) for raw, kind in zip(rows[0][3:], (np.int64, np.uint8, np.uint32, np.uint64, np.uint32)))
+            doc_ids, have, sizes, numbers = (_unpack(rows[0][k], kind) for k, kind in ((3, np.int64), (4, np.uint8), (5, np.uint32), (7, np.uint32)))
+            words = _unpack_steps(rows[0][6])
             total = np.concatenate([np.zeros(0, np.uint64), *[_unpack(r[2], np.uint64) for r in rows[1:]]])
             found = log_scores(sizes, words, numbers, total, n_all, order)
             yield pa.RecordBatch.from_arrays([pa.array(doc_ids, mask=have == 0), pa.array(sizes.astype(np.int64)), pa.array(found)], names=["doc_id", "n_words", "log_score"])
