@@ -13,7 +13,8 @@ predicted by its copy; one that stands there alone backs off wherever it says so
 Three tables, each dealt by hash:
 
 1. Chunks: some documents as word numbers, with the 64-bit hashes of their different words.  A chunk's n-grams of all
-   orders become one sorted list of different 64-bit hashes with their counts, cut into buckets of the hash space.  An
+   orders become one sorted list of different hashes with their counts, cut into buckets of the hash space; hashes get
+   longer with the number of buckets, up to 64 bits.  An
    n-gram has one entry a chunk, however many documents hold it, so no n-gram is hot.
 2. The count table: a bucket's task adds the counts of all chunks up and joins the totals back to each chunk's list.
 3. A chunk's task joins the totals to its documents' own n-grams, subtracts their own counts, backs off and sums.
@@ -47,6 +48,8 @@ BACKOFF = 0.4
 CHUNK_WORDS = 1 << 21
 #: n-grams of a bucket of the hash space, and the fewest that a chunk's part of a bucket should have.
 BUCKET_GRAMS, LEAST_PART = 1 << 22, 64
+#: Bits of an n-gram's hash inside its bucket: of the n-grams in a bucket one in some hundred million shares its hash.
+BUCKET_BITS = 50
 #: Different words whose hashes a worker remembers.
 KNOWN_WORDS = 400_000
 _HEAD, _SIZE = struct.Struct("<QB"), struct.Struct("<I")
@@ -161,27 +164,26 @@ def chunks(docs: DataFrame, chunk_words: int = CHUNK_WORDS) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").cast("binary").alias("text")).mapInArrow(run, CHUNKS)
 
 
-def _grams(sizes: np.ndarray, words: np.ndarray, numbers: np.ndarray, order: int) -> tuple[np.ndarray, list[np.ndarray]]:
+def _grams(sizes: np.ndarray, words: np.ndarray, numbers: np.ndarray, order: int, shift: int) -> tuple[np.ndarray, list[np.ndarray]]:
+    """All n-grams of a chunk, order after order, and the words at which those of each order end."""
     place = _places(sizes.astype(np.int64))
-    return place, gram_hashes(words[numbers], place, order)
-
-
-def _different(place: np.ndarray, grams: list[np.ndarray]) -> np.ndarray:
-    """All n-grams of a chunk, each as often as it stands there (short contexts do not count twice)."""
-    return np.concatenate([g if n == 0 else g[place >= n] for n, g in enumerate(grams)])
+    ends = [np.flatnonzero(place >= n) for n in range(order)]
+    return np.concatenate([g[at] for g, at in zip(gram_hashes(words[numbers], place, order), ends)]) >> np.uint64(shift), ends
 
 
 LISTS = "bucket int, chunk long, keys binary, counts binary"
 
 
-def lists(told: DataFrame, order: int, buckets: int) -> DataFrame:
+def lists(told: DataFrame, order: int, buckets: int, shift: int) -> DataFrame:
     """Each chunk's different n-grams with their counts, by bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        edges = np.array([(k << 64) // buckets for k in range(1, buckets)], np.uint64)
+        edges = np.array([(k << 64 - shift) // buckets for k in range(1, buckets)], np.uint64)
         for b in batches:
             for chunk, sizes, words, numbers in zip(*[b.column(k).to_pylist() for k in range(4)]):
-                keys, counts = np.unique(_different(*_grams(_unpack(sizes, np.uint32), _unpack_steps(words), _unpack(numbers, np.uint32), order)), return_counts=True)
+                grams, _ = _grams(_unpack(sizes, np.uint32), _unpack_steps(words), _unpack(numbers, np.uint32), order, shift)
+                keys, counts = np.unique(grams, return_counts=True)
+                del grams
                 cut = [0, *np.searchsorted(keys, edges).tolist(), len(keys)]
                 rows = [(k, chunk, _pack_steps(keys[x:y]), _pack(counts[x:y].astype(np.uint32))) for k, (x, y) in enumerate(zip(cut, cut[1:])) if y > x]
                 for at in range(0, len(rows), 512):
@@ -219,25 +221,33 @@ def totals(dealt: DataFrame) -> DataFrame:
     return dealt.mapInArrow(run, "chunk long, bucket int, totals binary")
 
 
-def log_scores(sizes: np.ndarray, words: np.ndarray, numbers: np.ndarray, total: np.ndarray, n_all: int, order: int) -> np.ndarray:
+def log_scores(sizes: np.ndarray, words: np.ndarray, numbers: np.ndarray, total: np.ndarray, n_all: int, order: int, shift: int) -> np.ndarray:
     """Per document of a chunk the sum of log S; ``total``: counts of the chunk's different n-grams in hash order."""
-    place, grams = _grams(sizes, words, numbers, order)
-    doc = np.repeat(np.arange(len(sizes)), sizes)
-    keys = np.unique(_different(place, grams))
-    if len(keys) != len(total):
+    if not len(numbers):
+        return np.zeros(len(sizes))
+    grams, ends = _grams(sizes, words, numbers, order, shift)
+    doc = np.repeat(np.arange(len(sizes), dtype=np.uint32), sizes)
+    turn = np.argsort(grams, kind="stable").astype(np.uint32)  # equal n-grams of a document stay side by side
+    grams, where = grams[turn], np.concatenate([doc[at] for at in ends])[turn]
+    fresh = grams[1:] != grams[:-1]
+    number = np.cumsum(np.concatenate([[False], fresh]), dtype=np.uint32)
+    if int(number[-1]) + 1 != len(total):
         raise ValueError("totals of another chunk")
-    others = []  # per order, of the n-gram that ends at each word: its count in other documents
-    while grams:
-        number = np.searchsorted(keys, grams.pop(0))
-        _, where, own = np.unique((doc.astype(np.uint64) << np.uint64(32)) | number.astype(np.uint64), return_inverse=True, return_counts=True)
-        others.append((total[number].astype(np.int64) - own[where]))
-        del number, where
+    first = np.flatnonzero(np.concatenate([[True], fresh | (where[1:] != where[:-1])]))
+    del grams, where, fresh
+    own = np.diff(np.concatenate([first, [len(turn)]]))
+    others = np.empty(len(turn), np.int64)  # of each n-gram: its count in other documents
+    others[turn] = total[number].astype(np.int64) - np.repeat(own, own)
+    del turn, number, first, own
+    others = np.split(others, np.cumsum([len(at) for at in ends[:-1]]))
     rest = np.maximum(n_all - np.repeat(sizes.astype(np.int64), sizes), 1)
     value = np.where(others[0] > 0, np.log(np.maximum(others[0], 1)), math.log(BACKOFF)) - np.log(rest)
+    context = others[0]
     for n in range(1, order):
-        at = np.flatnonzero(place >= n)
-        f, context = others[n][at], others[n - 1][at - 1]
-        value[at] = np.where(f > 0, np.log(np.maximum(f, 1)) - np.log(np.maximum(context, 1)), math.log(BACKOFF) + value[at])
+        at, f = ends[n], others[n]
+        value[at] = np.where(f > 0, np.log(np.maximum(f, 1)) - np.log(np.maximum(context[at - 1], 1)), math.log(BACKOFF) + value[at])
+        context = np.zeros(len(doc), np.int64)
+        context[at] = f
     return np.bincount(doc, weights=value, minlength=len(sizes))
 
 
@@ -247,7 +257,8 @@ def scores(docs: DataFrame, *, order: int = ORDER, chunk_words: int = CHUNK_WORD
     n_all, most = told.agg(F.coalesce(F.sum("n_words"), F.lit(0)), F.coalesce(F.max("n_words"), F.lit(0))).first()
     buckets = max(1, min(-(-n_all * order // bucket_grams), most * order // LEAST_PART))
     parts = max(buckets, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    dealt = lists(told, order, buckets).repartition(parts, "bucket").sortWithinPartitions("bucket", "chunk")
+    shift = max(0, 64 - BUCKET_BITS - (buckets.bit_length() - 1))
+    dealt = lists(told, order, buckets, shift).repartition(parts, "bucket").sortWithinPartitions("bucket", "chunk")
     none = F.lit(None).cast("binary")
     whole = told.select("chunk", F.lit(-1).alias("bucket"), none.alias("totals"), "doc_ids", "have", "sizes", "words", "numbers")
     counted = totals(dealt).select("chunk", "bucket", "totals", *[none.alias(c) for c in ("doc_ids", "have", "sizes", "words", "numbers")])
@@ -257,7 +268,7 @@ def scores(docs: DataFrame, *, order: int = ORDER, chunk_words: int = CHUNK_WORD
             doc_ids, have, sizes, numbers = (_unpack(rows[0][k], kind) for k, kind in ((3, np.int64), (4, np.uint8), (5, np.uint32), (7, np.uint32)))
             words = _unpack_steps(rows[0][6])
             total = np.concatenate([np.zeros(0, np.uint64), *[_unpack(r[2], np.uint64) for r in rows[1:]]])
-            found = log_scores(sizes, words, numbers, total, n_all, order)
+            found = log_scores(sizes, words, numbers, total, n_all, order, shift)
             yield pa.RecordBatch.from_arrays([pa.array(doc_ids, mask=have == 0), pa.array(sizes.astype(np.int64)), pa.array(found)], names=["doc_id", "n_words", "log_score"])
 
     found = whole.unionByName(counted).repartition("chunk").sortWithinPartitions("chunk", "bucket").mapInArrow(run, "doc_id long, n_words long, log_score double")
