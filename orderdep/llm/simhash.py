@@ -9,6 +9,7 @@ table entry are compared over all 64 bits, and a spanning forest of the true lin
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import combinations
 
@@ -184,30 +185,97 @@ _TIMES, _PLUS = _DRAWN[0] | np.uint64(1), _DRAWN[1]
 _TIED = np.random.Generator(np.random.PCG64(43)).integers(0, 1 << 64, (TABLES, MINIMA), np.uint64) | np.uint64(1)
 
 
-def table_entries(shingles: np.ndarray) -> np.ndarray:
-    """A text's entry in each table: a hash of the table and of the least shingles in ``MINIMA`` orders of its own."""
+def minima(shingles: np.ndarray) -> np.ndarray:
+    """The least shingle in each of ``TABLES * MINIMA`` orders."""
     low = np.full(TABLES * MINIMA, (1 << 64) - 1, np.uint64)
     for at in range(0, len(shingles), 4096):
         low = np.minimum(low, (shingles[at : at + 4096] * _TIMES + _PLUS).min(1))
+    return low
+
+
+def table_entries(shingles: np.ndarray) -> np.ndarray:
+    """A text's entry in each table: a hash of the table and of the least shingles in ``MINIMA`` orders of its own."""
     # every table has factors of its own, so that equal minima of two tables do not meet
-    return (low.reshape(TABLES, MINIMA) * _TIED).sum(1, dtype=np.uint64)
+    return (minima(shingles).reshape(TABLES, MINIMA) * _TIED).sum(1, dtype=np.uint64)
+
+
+def sketch(shingles: np.ndarray) -> bytes:
+    """A byte of each of the least shingles: two texts at similarity s agree in s of them or a little more."""
+    return ((minima(shingles) * _TIMES[0]) >> np.uint64(56)).astype(np.uint8).tobytes()
 
 
 def meeting(entries: DataFrame) -> DataFrame:
-    """entries (entry, fp) -> those rows that are not alone at their entry, with the one before them there (null for the first)."""
+    """entries (entry, place, fp) -> those rows that are not alone at their entry, with the one before them there (null for the first)."""
     there = Window.partitionBy("entry").orderBy("fp")
     both = entries.withColumns({"before": F.lag("fp").over(there), "after": F.lead("fp").over(there)})
     return both.where(F.col("before").isNotNull() | F.col("after").isNotNull()).drop("after")
 
 
 def shingle_sets(texts: DataFrame, shingle_words: int) -> DataFrame:
-    """texts (fp, text binary) -> (fp, shingles binary)."""
+    """texts (fp, text binary) -> (fp, shingles binary, sketch binary)."""
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingle_hashes(t.as_py() or b"", shingle_words).tobytes() for t in b.column(1)], pa.binary())], names=["fp", "shingles"])
+            for at in range(0, b.num_rows, 256):
+                sets = [shingle_hashes(t.as_py() or b"", shingle_words) for t in b.column(1).slice(at, 256)]
+                columns = [b.column(0).slice(at, 256), pa.array([x.tobytes() for x in sets], pa.binary()), pa.array([sketch(x) for x in sets], pa.binary())]
+                yield pa.RecordBatch.from_arrays(columns, names=["fp", "shingles", "sketch"])
+
+    return texts.select("fp", "text").mapInArrow(hashed, "fp long, shingles binary, sketch binary")
+
+
+def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
+    """rows (entry, place, fp, root, n, sketch) -> pairs (a, b) of an entry with different roots whose sizes and sketches allow ``least``.
+
+    Nothing but these pairs leaves an entry, each from the first table in which its texts meet.  A pair at ``least`` fails
+    the test of the sketches with probability 2e-7 at 0.8 (five standard deviations).
+    """
+    lanes = TABLES * MINIMA
+    agree = math.floor(lanes * least - 5 * math.sqrt(lanes * least * (1 - least)))
+
+    def pairs(place: int, fp: np.ndarray, root: np.ndarray, n: np.ndarray, marks: np.ndarray) -> Iterator[tuple[int, int]]:
+        turn = np.argsort(n, kind="stable")
+        fp, root, n, marks = fp[turn], root[turn], n[turn], marks[turn]
+        end = np.searchsorted(n, n / least, side="right")
+        for i in range(len(fp) - 1):
+            other = np.flatnonzero(root[i + 1 : end[i]] != root[i]) + i + 1
+            for at in range(0, len(other), 1 << 14):
+                some = other[at : at + (1 << 14)]
+                same = marks[some] == marks[i]
+                some, same = (x[same.sum(1) >= agree] for x in (some, same))
+                for j in some[same.reshape(-1, TABLES, MINIMA).all(2).argmax(1) == place].tolist() if len(some) else ():
+                    yield min(int(fp[i]), int(fp[j])), max(int(fp[i]), int(fp[j]))
+
+    def batch_of(found: list[tuple[int, int]]) -> pa.RecordBatch:
+        both = np.array(found, np.int64).reshape(-1, 2)
+        return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["a", "b"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[np.ndarray]] = []
+        found: list[tuple[int, int]] = []
+
+        def ended() -> Iterator[pa.RecordBatch]:
+            entry, place, fp, root, n, marks = (np.concatenate(x) for x in zip(*held))
+            held.clear()
+            for pair in pairs(int(place[0]), fp, root, n, marks):
+                found.append(pair)
+                if len(found) >= 1 << 16:
+                    yield batch_of(found)
+                    found.clear()
+
+        for b in batches:
+            now = [b.column(k).to_numpy() for k in range(5)]
+            now.append(np.frombuffer(b"".join(b.column(5).to_pylist()), np.uint8).reshape(-1, lanes))
+            cuts = [0, *(np.flatnonzero(now[0][1:] != now[0][:-1]) + 1).tolist(), len(now[0])]
+            for x, y in zip(cuts, cuts[1:]):
+                if held and held[0][0][0] != now[0][x]:
+                    yield from ended()
+                held.append([c[x:y].copy() for c in now])
+        if held:
+            yield from ended()
+        yield batch_of(found)
 
-    return texts.select("fp", "text").mapInArrow(hashed, "fp long, shingles binary")
+    return rows.select("entry", "place", "fp", "root", "n", "sketch").repartition("entry").sortWithinPartitions("entry").mapInArrow(run, "a long, b long")
 
 
 def resembling(edges: DataFrame, sets: DataFrame, least: float) -> DataFrame:
@@ -217,7 +285,7 @@ def resembling(edges: DataFrame, sets: DataFrame, least: float) -> DataFrame:
         for b in batches:
             keep = []
             for x, y in zip(b.column(2), b.column(3)):
-                x, y = np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64)
+                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
                 both = len(np.intersect1d(x, y, assume_unique=True))
                 keep.append(both >= least * (len(x) + len(y) - both))
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
@@ -228,28 +296,27 @@ def resembling(edges: DataFrame, sets: DataFrame, least: float) -> DataFrame:
 
 
 def true_links(met: DataFrame, sets: DataFrame, least: float) -> DataFrame:
-    """met (entry, fp, before) -> edges (a, b) with the components that testing every pair of every entry would give.
+    """met (entry, place, fp, before) -> edges (a, b) with the components that testing every pair of every entry would give.
 
     Neighbours at an entry are tested first, then neighbours in other orders that the links found so far do not hold
-    together, and at last every pair of an entry that they still do not.  So a group of n copies costs some n tests,
-    and only texts that meet without being copies are tested pair by pair, each pair once.
+    together, and at last the likely pairs of an entry that they still do not.  So a group of n copies costs some n tests,
+    and texts that meet without being copies are compared by sketches inside their entry.
     """
     edges = stored(met.where("before is not null").select(F.col("before").alias("a"), F.col("fp").alias("b")).distinct(), "simhash-links")
     tested, true = edges, stored(resembling(edges, sets, least), "simhash-true")
     for turn in range(CHAINS + 1):
         roots = components(true).withColumnRenamed("node", "fp")
-        rows = met.select("entry", "fp").join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
+        rows = met.select("entry", "place", "fp").join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
         split = rows.groupBy("entry").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("entry")
-        rows = stored(rows.join(split, "entry", "left_semi"), "simhash-open")
+        rows = rows.join(split, "entry", "left_semi")
+        size = sets.select("fp", F.length("shingles").alias("n"), "sketch")
         if turn < CHAINS:
             there = Window.partitionBy("entry").orderBy(F.xxhash64("fp", F.lit(turn)))
             pairs = rows.withColumns({"a": F.lag("fp").over(there), "ra": F.lag("root").over(there)}).where("ra <> root").select(F.least("a", "fp").alias("a"), F.greatest("a", "fp").alias("b"))
         else:
-            other = rows.select("entry", F.col("fp").alias("b"), F.col("root").alias("rb"))
-            pairs = rows.withColumnRenamed("fp", "a").join(other, "entry").where("a < b and root <> rb").select("a", "b")
+            pairs = likely_pairs(rows.join(size, "fp"), least)
         # a set of under ``least`` of another's size cannot share that much with it
-        size = sets.select("fp", F.length("shingles").alias("n"))
-        new = pairs.distinct().join(tested, ["a", "b"], "left_anti").join(size.withColumnsRenamed({"fp": "a", "n": "na"}), "a").join(size.withColumnsRenamed({"fp": "b", "n": "nb"}), "b")
+        new = pairs.distinct().join(tested, ["a", "b"], "left_anti").join(size.selectExpr("fp AS a", "n AS na"), "a").join(size.selectExpr("fp AS b", "n AS nb"), "b")
         edges = stored(new.where(F.least("na", "nb") >= F.greatest("na", "nb") * least).select("a", "b"), "simhash-links")
         if not edges.isEmpty():
             true = stored(true.union(resembling(edges, sets, least)), "simhash-true")
@@ -283,7 +350,7 @@ def one_of_each(docs: DataFrame, *, shingle_words: int = SHINGLE_WORDS, least: f
     base = stored(keyed.mapInArrow(marked, keyed.schema), "simhash-documents")
     first = F.min(F.struct(id_, row)).alias("first")
     nodes = stored(base.groupBy(F.col(fp).alias("fp")).agg(first).select("fp", F.col(f"first.{row}").alias("row"), F.col(f"first.{id_}").alias("id")), "simhash-nodes")
-    entries = base.select(F.col(row).alias("row"), F.col(at_).alias("entries")).join(nodes.select("fp", "row"), "row").select(F.explode("entries").alias("entry"), "fp")
+    entries = base.select(F.col(row).alias("row"), F.col(at_).alias("entries")).join(nodes.select("fp", "row"), "row").select(F.posexplode("entries").alias("place", "entry"), "fp").select("entry", "place", "fp")
     met = stored(meeting(entries), "simhash-met")
     texts = base.select(F.col(row).alias("row"), F.col("text").cast("string").cast("binary").alias("text")).join(nodes.join(met.select("fp").distinct(), "fp", "left_semi"), "row").select("fp", "text")
     true = true_links(met, stored(shingle_sets(texts, shingle_words), "simhash-shingles"), least)
