@@ -178,6 +178,8 @@ def near_duplicates(docs: DataFrame, *, shingle_words: int = 3, radius: int = RA
 #: (1 - s ** MINIMA) ** TABLES: 5e-8 at 0.8.
 SHINGLE_WORDS, LEAST_SIMILARITY = 5, 0.8
 TABLES, MINIMA = 32, 4
+#: Least hashes of a shingle set that go with a text into its entries; a set of no more of them is there as a whole.
+LEAST_HASHES = 256
 #: Further orders in which neighbours at an entry are tested before all pairs that are left.
 CHAINS = 1
 _DRAWN = np.random.Generator(np.random.PCG64(42)).integers(0, 1 << 64, (2, TABLES * MINIMA, 1), np.uint64)
@@ -212,30 +214,43 @@ def meeting(entries: DataFrame) -> DataFrame:
 
 
 def shingle_sets(texts: DataFrame, shingle_words: int) -> DataFrame:
-    """texts (fp, text binary) -> (fp, shingles binary, sketch binary)."""
+    """texts (fp, text binary) -> (fp, shingles binary, sketch binary, low binary: the least hashes)."""
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 sets = [shingle_hashes(t.as_py() or b"", shingle_words) for t in b.column(1).slice(at, 256)]
-                columns = [b.column(0).slice(at, 256), pa.array([x.tobytes() for x in sets], pa.binary()), pa.array([sketch(x) for x in sets], pa.binary())]
-                yield pa.RecordBatch.from_arrays(columns, names=["fp", "shingles", "sketch"])
+                columns = [b.column(0).slice(at, 256), pa.array([x.tobytes() for x in sets], pa.binary()), pa.array([sketch(x) for x in sets], pa.binary()), pa.array([x[:LEAST_HASHES].tobytes() for x in sets], pa.binary())]
+                yield pa.RecordBatch.from_arrays(columns, names=["fp", "shingles", "sketch", "low"])
 
-    return texts.select("fp", "text").mapInArrow(hashed, "fp long, shingles binary, sketch binary")
+    return texts.select("fp", "text").mapInArrow(hashed, "fp long, shingles binary, sketch binary, low binary")
+
+
+def resemblance(a: np.ndarray, b: np.ndarray) -> tuple[float, int]:
+    """Share of the least hashes of both sets together that are in both, and how many there are of them."""
+    c = np.sort(np.concatenate([a, b]))
+    twice = np.concatenate([c[1:] == c[:-1], [False]])
+    first = np.flatnonzero(np.concatenate([[True], ~twice[:-1]]))
+    if max(len(a), len(b)) == LEAST_HASHES:
+        first = first[:LEAST_HASHES]
+    return float(twice[first].mean()), len(first)
 
 
 def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
-    """rows (entry, place, fp, root, n, sketch) -> pairs (a, b) of an entry with different roots whose sizes and sketches allow ``least``.
+    """rows (entry, place, fp, root, n, sketch, low) -> pairs (a, b) of an entry with different roots that may resemble.
 
-    Nothing but these pairs leaves an entry, each from the first table in which its texts meet.  A pair at ``least`` fails
-    the test of the sketches with probability 2e-7 at 0.8 (five standard deviations).
+    Sizes, then sketches, then the least hashes must allow ``least``; a pair at ``least`` fails the two estimates with
+    probability 2e-7 each at 0.8 (five standard deviations).  Sets that are there as a whole are compared exactly, and
+    of their links only those leave an entry that join texts not yet held together.  Nothing else leaves it, and each
+    pair only the entry of the first table in which its texts meet.
     """
     lanes = TABLES * MINIMA
-    agree = math.floor(lanes * least - 5 * math.sqrt(lanes * least * (1 - least)))
+    off = 5 * math.sqrt(least * (1 - least))
+    agree = math.floor(lanes * (least - off / math.sqrt(lanes)))
 
-    def pairs(place: int, fp: np.ndarray, root: np.ndarray, n: np.ndarray, marks: np.ndarray) -> Iterator[tuple[int, int]]:
+    def pairs(place: int, fp: np.ndarray, root: np.ndarray, n: np.ndarray, marks: np.ndarray, low: np.ndarray) -> Iterator[tuple[int, int]]:
         turn = np.argsort(n, kind="stable")
-        fp, root, n, marks = fp[turn], root[turn], n[turn], marks[turn]
+        fp, root, n, marks, low = fp[turn], root[turn], n[turn], marks[turn], low[turn]
         end = np.searchsorted(n, n / least, side="right")
         for i in range(len(fp) - 1):
             other = np.flatnonzero(root[i + 1 : end[i]] != root[i]) + i + 1
@@ -244,6 +259,14 @@ def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
                 same = marks[some] == marks[i]
                 some, same = (x[same.sum(1) >= agree] for x in (some, same))
                 for j in some[same.reshape(-1, TABLES, MINIMA).all(2).argmax(1) == place].tolist() if len(some) else ():
+                    if root[i] == root[j]:
+                        continue
+                    share, of = resemblance(low[i], low[j])
+                    whole = max(len(low[i]), len(low[j])) < LEAST_HASHES
+                    if share < (least if whole else least - off / math.sqrt(of)):
+                        continue
+                    if whole:
+                        root[root == root[j]] = root[i]
                     yield min(int(fp[i]), int(fp[j])), max(int(fp[i]), int(fp[j]))
 
     def batch_of(found: list[tuple[int, int]]) -> pa.RecordBatch:
@@ -255,9 +278,9 @@ def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
         found: list[tuple[int, int]] = []
 
         def ended() -> Iterator[pa.RecordBatch]:
-            entry, place, fp, root, n, marks = (np.concatenate(x) for x in zip(*held))
+            entry, place, fp, root, n, marks, low = (np.concatenate(x) for x in zip(*held))
             held.clear()
-            for pair in pairs(int(place[0]), fp, root, n, marks):
+            for pair in pairs(int(place[0]), fp, root, n, marks, low):
                 found.append(pair)
                 if len(found) >= 1 << 16:
                     yield batch_of(found)
@@ -266,6 +289,9 @@ def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
         for b in batches:
             now = [b.column(k).to_numpy() for k in range(5)]
             now.append(np.frombuffer(b"".join(b.column(5).to_pylist()), np.uint8).reshape(-1, lanes))
+            low = np.empty(len(now[0]), object)
+            low[:] = [np.frombuffer(x, np.uint64) for x in b.column(6).to_pylist()]
+            now.append(low)
             cuts = [0, *(np.flatnonzero(now[0][1:] != now[0][:-1]) + 1).tolist(), len(now[0])]
             for x, y in zip(cuts, cuts[1:]):
                 if held and held[0][0][0] != now[0][x]:
@@ -275,7 +301,7 @@ def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
             yield from ended()
         yield batch_of(found)
 
-    return rows.select("entry", "place", "fp", "root", "n", "sketch").repartition("entry").sortWithinPartitions("entry").mapInArrow(run, "a long, b long")
+    return rows.select("entry", "place", "fp", "root", "n", "sketch", "low").repartition("entry").sortWithinPartitions("entry").mapInArrow(run, "a long, b long")
 
 
 def resembling(edges: DataFrame, sets: DataFrame, least: float) -> DataFrame:
@@ -309,7 +335,7 @@ def true_links(met: DataFrame, sets: DataFrame, least: float) -> DataFrame:
         rows = met.select("entry", "place", "fp").join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
         split = rows.groupBy("entry").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("entry")
         rows = rows.join(split, "entry", "left_semi")
-        size = sets.select("fp", F.length("shingles").alias("n"), "sketch")
+        size = sets.select("fp", F.length("shingles").alias("n"), "sketch", "low")
         if turn < CHAINS:
             there = Window.partitionBy("entry").orderBy(F.xxhash64("fp", F.lit(turn)))
             pairs = rows.withColumns({"a": F.lag("fp").over(there), "ra": F.lag("root").over(there)}).where("ra <> root").select(F.least("a", "fp").alias("a"), F.greatest("a", "fp").alias("b"))
