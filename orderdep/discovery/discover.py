@@ -97,6 +97,8 @@ def search(v: Verdicts, columns: list[str], *, prune: Prune = ALL, max_level: in
                 key_of[mask] = prune.keys and v.key(mask)
             return key_of[mask]
 
+        if hasattr(v, "prepare"):
+            v.prepare([(x ^ 1 << a, a) for x, node in level.items() for a in bits(x & node.constants)])
         asked, given = [], []
         for x, node in level.items():
             for a in bits(x & node.constants):

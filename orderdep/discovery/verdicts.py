@@ -9,7 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..model import Compat, Constancy, bits, names_of
+from ..model import Compat, bits, names_of
 from ..operators.encode import rank_encode
 from ..operators.validate import PLAN_TASKS, ordered, verdict_plan
 from ..storage import stored
@@ -21,6 +21,10 @@ LOCAL_CELLS = 8_000_000
 SAMPLED_ROWS = 10_000
 
 
+#: Contexts of one aggregate by grouping sets: so many times are the rows read into partial aggregates at most.
+GROUPING_SETS = 24
+
+
 class Verdicts(Protocol):
     def constant(self, tasks: Sequence[tuple[int, int]]) -> list[bool]: ...
 
@@ -135,9 +139,10 @@ def dense(column) -> np.ndarray:
 
 
 class SparkVerdicts:
-    """Plans over a stored table of codes: dependencies that group by the same set share an aggregate, and as many as
-    PLAN_TASKS share a job.  A sample of the rows, tested first, settles most that do not hold: what a part of the
-    rows breaks is broken."""
+    """Plans over a stored table of codes.  All contexts of a level go through one aggregate by grouping sets, which tells of
+    each whether it is a key and which columns are constant in it; compatibilities that group by the same set share an
+    aggregate, and as many as PLAN_TASKS share a job.  A sample of the rows, tested first, settles most that do not
+    hold: what a part of the rows breaks is broken."""
 
     def __init__(self, df: DataFrame, columns: list[str], *, falsify: bool = True, sample_rows: int = 2_000, stripped: bool = True):
         self.columns = columns
@@ -145,6 +150,7 @@ class SparkVerdicts:
         self.rows = self.codes.count()
         self.sample = None
         self.killed = self.sent = 0
+        self.sets: dict[int, tuple[bool, int]] = {}  # context -> it is a key, mask of the columns constant in it
         if falsify and self.rows > sample_rows:
             share = F.pmod(F.xxhash64(*columns), F.lit(1 << 20)) < int((1 << 20) * sample_rows / self.rows)
             self.sample = LocalVerdicts.of(self.codes.where(share).limit(2 * sample_rows), columns, stripped=stripped)
@@ -165,9 +171,34 @@ class SparkVerdicts:
             out[k] = ok
         return out
 
+    def prepare(self, tasks: Sequence[tuple[int, int]]) -> None:
+        """Answers for all contexts of some constancies that the sample leaves open, GROUPING_SETS of them a job."""
+        alive = self.sample.constant(tasks) if self.sample else [True] * len(tasks)
+        todo = sorted({c for (c, _), ok in zip(tasks, alive) if c not in self.sets and (ok or self.sample.key(c))})
+        m = len(self.columns)
+        safe = [f"c{k}" for k in range(m)]
+        codes = self.codes.toDF(*safe)
+        for at in range(0, len(todo), GROUPING_SETS):
+            part = todo[at : at + GROUPING_SETS]
+            sets = [[safe[k] for k in bits(c)] for c in part]
+            used = sorted({k for c in part for k in bits(c)})
+            number = {sum(1 << len(used) - 1 - i for i, k in enumerate(used) if not c >> k & 1): c for c in part}
+            ends = [f(c).alias(f"{name}{c}") for c in safe for f, name in ((F.min, "lo"), (F.max, "hi"))]
+            if used:
+                groups = codes.groupingSets(sets, *[safe[k] for k in used]).agg(F.grouping_id().alias("set"), F.count("*").alias("n"), *ends)
+            else:
+                groups = codes.agg(F.lit(0).alias("set"), F.count("*").alias("n"), *ends)
+            told = groups.groupBy("set").agg(F.max("n").alias("n"), *[F.max(F.col(f"lo{c}") != F.col(f"hi{c}")).alias(c) for c in safe])
+            found = {number[r["set"]]: (r["n"] <= 1, sum(1 << k for k, c in enumerate(safe) if not r[c])) for r in told.collect()}
+            self.sets |= {c: found.get(c, (True, (1 << m) - 1)) for c in part}  # no rows: no group
+
     def constant(self, tasks):
         first = self.sample.constant(tasks) if self.sample else [True] * len(tasks)
-        return self._verdicts(first, lambda c, a: Constancy(names_of(c, self.columns), self.columns[a]), tasks)
+        left = [t for t, ok in zip(tasks, first) if ok]
+        self.killed += len(tasks) - len(left)
+        self.sent += len(left)
+        self.prepare(left)
+        return [ok and bool(self.sets[c][1] >> a & 1) for (c, a), ok in zip(tasks, first)]
 
     def compatible(self, tasks):
         first = self.sample.compatible(tasks) if self.sample else [True] * len(tasks)
@@ -176,9 +207,9 @@ class SparkVerdicts:
     def key(self, mask: int) -> bool:
         if self.sample and not self.sample.key(mask):
             return False
-        names = sorted(names_of(mask, self.columns))
-        groups = self.codes.groupBy(*names).count() if names else self.codes.agg(F.count("*").alias("count"))
-        return groups.where("count > 1").limit(1).count() == 0
+        if mask not in self.sets:
+            self.prepare([(mask, 0)])
+        return self.sets[mask][0]
 
 
 def verdicts(df: DataFrame, columns: list[str], kind: str = "auto", **options) -> Verdicts:

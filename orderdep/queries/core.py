@@ -303,6 +303,21 @@ def q_discover_distributed(spark, d):
     return discover(R.calendar(spark, d), DISCOVERED["calendar"][1], validator="spark").to_df(spark)
 
 
+def _distributed(name: str) -> None:
+    relation, columns, sql = DISCOVERED[name]
+
+    def found(spark, d):
+        return discover(relation(spark, d), columns, validator="spark").to_df(spark)
+
+    found.__doc__ = f"All minimal dependencies of {name}, every verdict by Spark plans behind a falsifying sample."
+    QUERIES[f"q_discover_{name}_distributed"] = found
+    SQL[f"q_discover_{name}_distributed"] = oracle.discovery(sql, columns)
+
+
+for _name in ("orders", "lineitem", "events"):
+    _distributed(_name)
+
+
 @query(oracle.discovery("SELECT * FROM customer", _CUSTOMER, pairs=False))
 def q_fd_only_customer(spark, d):
     """The baseline for functional dependencies alone."""
