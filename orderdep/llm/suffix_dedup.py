@@ -203,7 +203,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH) -> tuple[DataFrame, Da
     copied = contents.where("copies > 1").select("anchor", "content", whole("at.n").alias("ranges"))
     verdicts = stored(found.unionByName(copied), "suffix-verdicts")
     spans = mixed.join(verdicts, ["anchor", "content"]).select("did", "th", "starts", "ranges").unionByName(hits.where("not mixed").select("did", "th", "starts", whole("n").alias("ranges")))
-    per_text = stored(spans.groupBy("did", "th").agg(F.collect_list(F.struct("starts", "ranges")).alias("runs")), "suffix-spans")
+    per_text = stored(spans.groupBy("did", "th").agg(F.collect_set(F.struct("starts", "ranges")).alias("runs")), "suffix-spans")
     for t in (bodies, keys):
         discard(t)
     spark.sparkContext._jvm.System.gc()

@@ -344,6 +344,15 @@ def test_suffix_dedup(spark, docs, rows, empty, crowd, piece, monkeypatch):
     assert suffix_dedup.removal(empty).count() == 0
 
 
+def test_many_equal_rows(spark):
+    """Rows of the same text without an id are repeats of each other; their runs are held once."""
+    text = " ".join(f"word{k}" for k in range(60))
+    df = spark.createDataFrame([(None, text)] * 3000 + [(1, "short")], SCHEMA)
+    got = collections.Counter((r["doc_id"], r["n_bytes"], r["n_removed"], r["n_spans"]) for r in suffix_dedup.removal(df).collect())
+    n = len(text.encode())
+    assert got == {(None, n, n, 1): 3000, (1, 5, 0, 0): 1}
+
+
 # 9
 
 
