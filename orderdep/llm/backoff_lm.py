@@ -46,8 +46,12 @@ ORDER = 3
 BACKOFF = 0.4
 #: Words after which a chunk is closed; a document is never cut.
 CHUNK_WORDS = 1 << 21
-#: n-grams of a bucket of the hash space, and the fewest that a chunk's part of a bucket should have.
-BUCKET_GRAMS, LEAST_PART = 1 << 22, 64
+#: n-grams of a bucket of the hash space, repeats included: what a task holds at once.
+BUCKET_GRAMS = 1 << 22
+#: Shuffle partitions of the lists; a task takes several buckets one after the other beyond it.
+MOST_PARTS = 100_000
+#: Numbers up to which a packed column is not compressed.
+FEW = 32
 #: Bits of an n-gram's hash inside its bucket: of the n-grams in a bucket one in some hundred million shares its hash.
 BUCKET_BITS = 50
 #: Different words whose hashes a worker remembers.
@@ -71,6 +75,8 @@ class _Hashes(dict):
 
 def _pack(a: np.ndarray) -> bytes:
     """The bytes of each place by themselves, compressed: their number, which places are not all zero, and each with its size."""
+    if len(a) <= FEW:
+        return _HEAD.pack(len(a), 0) + a.tobytes()
     places = np.ascontiguousarray(a.view(np.uint8).reshape(-1, a.itemsize).T)
     used = [k for k in range(a.itemsize) if places[k].any()]
     out = [_HEAD.pack(len(a), sum(1 << k for k in used))]
@@ -83,6 +89,8 @@ def _pack(a: np.ndarray) -> bytes:
 def _unpack(raw: bytes, kind) -> np.ndarray:
     n, used = _HEAD.unpack_from(raw)
     at, size = _HEAD.size, np.dtype(kind).itemsize
+    if n <= FEW:
+        return np.frombuffer(raw, kind, n, at)
     places = np.zeros((size, n), np.uint8)
     for k in range(size):
         if used >> k & 1:
@@ -178,14 +186,14 @@ def lists(told: DataFrame, order: int, buckets: int, shift: int) -> DataFrame:
     """Each chunk's different n-grams with their counts, by bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        edges = np.array([(k << 64 - shift) // buckets for k in range(1, buckets)], np.uint64)
         for b in batches:
             for chunk, sizes, words, numbers in zip(*[b.column(k).to_pylist() for k in range(4)]):
                 grams, _ = _grams(_unpack(sizes, np.uint32), _unpack_steps(words), _unpack(numbers, np.uint32), order, shift)
                 keys, counts = np.unique(grams, return_counts=True)
                 del grams
-                cut = [0, *np.searchsorted(keys, edges).tolist(), len(keys)]
-                rows = [(k, chunk, _pack_steps(keys[x:y]), _pack(counts[x:y].astype(np.uint32))) for k, (x, y) in enumerate(zip(cut, cut[1:])) if y > x]
+                bucket = (keys >> np.uint64(32 - shift)) * np.uint64(buckets) >> np.uint64(32)
+                cut = [0, *(np.flatnonzero(bucket[1:] != bucket[:-1]) + 1).tolist(), len(keys)]
+                rows = [(int(bucket[x]), chunk, _pack_steps(keys[x:y]), _pack(counts[x:y].astype(np.uint32))) for x, y in zip(cut, cut[1:]) if y > x]
                 for at in range(0, len(rows), 512):
                     kinds = (pa.int32(), pa.int64(), pa.binary(), pa.binary())
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows[at : at + 512]), kinds)], names=[c.split()[0] for c in LISTS.split(", ")])
@@ -254,9 +262,9 @@ def log_scores(sizes: np.ndarray, words: np.ndarray, numbers: np.ndarray, total:
 def scores(docs: DataFrame, *, order: int = ORDER, chunk_words: int = CHUNK_WORDS, bucket_grams: int = BUCKET_GRAMS) -> DataFrame:
     """One row per document: doc_id, n_words, log_score (natural), mean_log_score."""
     told = stored(chunks(docs, chunk_words), "lm-chunks", codec="none")
-    n_all, most = told.agg(F.coalesce(F.sum("n_words"), F.lit(0)), F.coalesce(F.max("n_words"), F.lit(0))).first()
-    buckets = max(1, min(-(-n_all * order // bucket_grams), most * order // LEAST_PART))
-    parts = max(buckets, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    n_all = told.agg(F.coalesce(F.sum("n_words"), F.lit(0))).first()[0]
+    buckets = max(1, -(-n_all * order // bucket_grams))
+    parts = min(max(buckets, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))), MOST_PARTS)
     shift = max(0, 64 - BUCKET_BITS - (buckets.bit_length() - 1))
     dealt = lists(told, order, buckets, shift).repartition(parts, "bucket").sortWithinPartitions("bucket", "chunk")
     none = F.lit(None).cast("binary")
