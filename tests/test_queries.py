@@ -6,7 +6,7 @@ import pytest
 from orderdep import queries as reference
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SLOW = {"q_exp_lists", "q_exp_columns"}
+SLOW = {"q_exp_lists", "q_exp_columns", "q_exp_levels", "q_exp_pruning", "q_exp_fd_only"}  # minutes each; test_whole_experiments runs them in quick form
 
 
 @pytest.fixture(scope="module")
