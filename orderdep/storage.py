@@ -10,11 +10,13 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir; a temporary folder where it is unset (one machine)."""
+    """spark.checkpoint.dir; where it is unset a temporary folder, which only a session on one machine can share."""
     sc = spark.sparkContext
     conf = sc.getConf().get("spark.checkpoint.dir")
     current = sc._jsc.sc().getCheckpointDir()
     if current.isEmpty():
+        if not conf and not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         sc.setCheckpointDir(conf or tempfile.mkdtemp(prefix="orderdep-"))
         current = sc._jsc.sc().getCheckpointDir()
     return conf or current.get()
