@@ -20,7 +20,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; where that is unset (tests, one machine) a temporary one."""
+    """The folder of spark.checkpoint.dir; where it is unset a temporary one, which only a session on one machine can share."""
     sc = spark.sparkContext
     conf = sc.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if conf:
@@ -29,6 +29,8 @@ def shared_dir(spark: SparkSession) -> str:
         return conf
     current = sc._jsc.sc().getCheckpointDir()
     if current.isEmpty():
+        if not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         sc.setCheckpointDir(tempfile.mkdtemp(prefix="orderdep-"))
         current = sc._jsc.sc().getCheckpointDir()
     return current.get()
