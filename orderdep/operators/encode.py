@@ -53,6 +53,16 @@ def dictionary(df: DataFrame, column: str) -> DataFrame:
     return stored(ordered, "dictionary")
 
 
+def with_code(df: DataFrame, column: str, name: str) -> DataFrame:
+    """df with ``name``, an order-preserving bigint of the column: integers, dates and booleans themselves, else ranks."""
+    kind = df.schema[column].dataType
+    direct = None if isinstance(kind, T.TimestampType) else identity_code(F.col(column), kind)
+    if direct is not None:
+        return df.withColumn(name, direct)
+    codes = dictionary(df, column).select(F.col("value").alias("__value"), F.col("code").alias(name))
+    return df.join(codes, canonical(F.col(column), kind).eqNullSafe(F.col("__value"))).drop("__value")
+
+
 def rank_encode(df: DataFrame, columns: list[str] | None = None, *, dense: bool = True) -> DataFrame:
     """The columns as bigint codes, in the same row multiset.
 

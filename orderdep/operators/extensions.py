@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import segscan
-from .encode import rank_encode
+from .encode import canonical, rank_encode, with_code
 from .validate import ordered
 
 
@@ -34,11 +34,9 @@ def constancy_by_condition(df: DataFrame, condition: str, context: Iterable[str]
 
 def compat_by_condition(df: DataFrame, condition: str, a: str, b: str) -> DataFrame:
     """(condition, holds) for a compatibility."""
-    from pyspark.sql import Window
-
-    g = df.groupBy(condition, ordered(df, a).alias("__a")).agg(F.min(ordered(df, b)).alias("__lo"), F.max(ordered(df, b)).alias("__hi"))
-    g = g.withColumn("__bad", F.coalesce(F.lag("__hi").over(Window.partitionBy(condition).orderBy("__a")) > F.col("__lo"), F.lit(False)))
-    return g.groupBy(condition).agg((~F.max("__bad")).alias("holds"))
+    g = df.groupBy(condition, canonical(F.col(a), df.schema[a].dataType).alias("__a")).agg(F.min(ordered(df, b)).alias("__lo"), F.max(ordered(df, b)).alias("__hi"))
+    g = segscan.prefix_exceeds(with_code(g, "__a", "__k"), [condition], "__k", "__lo", "__hi")
+    return g.groupBy(condition).agg((~F.max("exceeds")).alias("holds"))
 
 
 def check_opposite(df: DataFrame, context: Iterable[str], a: str, b: str) -> bool:

@@ -25,7 +25,7 @@ def breaks(df: DataFrame, seg: list[str], order: str, lo: str, hi: str, width: i
     inside = Window.partitionBy(*seg, "__bucket").orderBy(order)
     near = keyed.select((F.lag(hi).over(inside) > F.col(lo)).alias("bad"))
     buckets = keyed.groupBy(*seg, "__bucket").agg(F.min(lo).alias("__lo"), F.max(hi).alias("__hi"))
-    # no window over a whole segment's buckets: every bucket looks at the next smaller one by a running maximum
+    # one row for each bucket of a segment, so this window holds some WIDTH times fewer rows than the segment has groups
     along = Window.partitionBy(*seg).orderBy("__bucket")
     far = buckets.select((F.lag("__hi").over(along) > F.col("__lo")).alias("bad"))
     return near.unionByName(far).agg(F.coalesce(F.max("bad"), F.lit(False)).alias("bad"))
@@ -35,8 +35,8 @@ def is_monotone(df: DataFrame, seg: list[str], order: str, lo: str, hi: str, wid
     return not breaks(df, seg, order, lo, hi, width).first()["bad"]
 
 
-def prefix_exceeds(df: DataFrame, seg: list[str], order: str, lo: str, hi: str, width: int = WIDTH) -> DataFrame:
-    """df with ``exceeds``: some group of a strictly smaller key in the segment has a highest above this lowest."""
+def prefix_top(df: DataFrame, seg: list[str], order: str, hi: str, width: int = WIDTH) -> DataFrame:
+    """df with ``__top``: the greatest ``hi`` among the groups of a strictly smaller key in the segment, null for the first."""
     keyed = df.withColumn("__bucket", _bucket(order, width))
     buckets = keyed.groupBy(*seg, "__bucket").agg(F.max(hi).alias("__hi"))
     earlier = Window.partitionBy(*seg).orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
@@ -46,4 +46,9 @@ def prefix_exceeds(df: DataFrame, seg: list[str], order: str, lo: str, hi: str,
         same = same & F.col(c).eqNullSafe(F.col(f"__s{k}"))
     inside = Window.partitionBy(*seg, "__bucket").orderBy(order).rowsBetween(Window.unboundedPreceding, -1)
     joined = keyed.withColumn("__local", F.max(hi).over(inside)).join(carried, same)
-    return joined.withColumn("exceeds", F.coalesce(F.greatest("__local", "__carry") > F.col(lo), F.lit(False))).select(*df.columns, "exceeds")
+    return joined.withColumn("__top", F.greatest("__local", "__carry")).select(*df.columns, "__top")
+
+
+def prefix_exceeds(df: DataFrame, seg: list[str], order: str, lo: str, hi: str, width: int = WIDTH) -> DataFrame:
+    """df with ``exceeds``: some group of a strictly smaller key in the segment has a highest above this lowest."""
+    return prefix_top(df, seg, order, hi, width).withColumn("exceeds", F.coalesce(F.col("__top") > F.col(lo), F.lit(False))).drop("__top")

@@ -4,11 +4,12 @@ from __future__ import annotations
 
 from collections.abc import Iterable, Sequence
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import Canonical, Compat, Constancy
 from . import segscan
+from .encode import canonical, with_code
 from .validate import compat_groups, constancy_bad, listed, ordered
 
 
@@ -41,6 +42,12 @@ def swap_pairs(df: DataFrame, row_id: str, x: Sequence[str], y: Sequence[str], c
     return _capped(pairs, limit, ["__c"]).select("s", "t")
 
 
+def _by_value(df: DataFrame, context: list[str], a: str, *aggregates: Column) -> DataFrame:
+    """(context, a as ``__a``, its code ``__k``, aggregates): a row for each value of a in a class, fit for bucketed scans."""
+    groups = df.groupBy(*context, canonical(F.col(a), df.schema[a].dataType).alias("__a")).agg(*aggregates)
+    return with_code(groups, "__a", "__k")
+
+
 def violation_summary(df: DataFrame, od: Canonical) -> DataFrame:
     """Bad classes only: their context values with n_rows and n_values (constancy), or n_groups and n_swapped (compat)."""
     context = sorted(od.context)
@@ -49,10 +56,9 @@ def violation_summary(df: DataFrame, od: Canonical) -> DataFrame:
         g = df.groupBy(*context).agg(F.count("*").alias("n_rows"), F.count_distinct(v).alias("n_values"))
         return g.where("n_values > 1")
     a, b = sorted(od.pair)
-    flags = df.groupBy(*context, ordered(df, a).alias("__a")).agg(F.min(ordered(df, b)).alias("__lo"), F.max(ordered(df, b)).alias("__hi"))
-    before = Window.partitionBy(*context).orderBy("__a").rowsBetween(Window.unboundedPreceding, -1)
-    flags = flags.withColumn("__bad", F.coalesce(F.max("__hi").over(before) > F.col("__lo"), F.lit(False)))
-    return flags.groupBy(*context).agg(F.count("*").alias("n_groups"), F.count_if("__bad").alias("n_swapped")).where("n_swapped > 0")
+    groups = _by_value(df, context, a, F.min(ordered(df, b)).alias("__lo"), F.max(ordered(df, b)).alias("__hi"))
+    flags = segscan.prefix_exceeds(groups, context, "__k", "__lo", "__hi")
+    return flags.groupBy(*context).agg(F.count("*").alias("n_groups"), F.count_if("exceeds").alias("n_swapped")).where("n_swapped > 0")
 
 
 def witness(df: DataFrame, od: Canonical, row_id: str) -> DataFrame:
@@ -63,11 +69,10 @@ def witness(df: DataFrame, od: Canonical, row_id: str) -> DataFrame:
         g = df.groupBy(*context).agg(F.min(F.struct(v.alias("v"), F.col(row_id).alias("i"))).alias("lo"), F.max(F.struct(v.alias("v"), F.col(row_id).alias("i"))).alias("hi"))
         return g.where("lo.v <> hi.v").select(F.least("lo.i", "hi.i").alias("s"), F.greatest("lo.i", "hi.i").alias("t")).orderBy("s", "t").limit(1)
     a, b = sorted(od.pair)
-    val = lambda c, sign: F.struct(ordered(df, c).alias("v"), F.col(row_id).alias("i"))
-    g = df.groupBy(*context, ordered(df, a).alias("__a")).agg(F.min(val(b, 1)).alias("lo"), F.max(val(b, 1)).alias("hi"))
-    before = Window.partitionBy(*context).orderBy("__a").rowsBetween(Window.unboundedPreceding, -1)
-    g = g.withColumn("top", F.max("hi").over(before)).where("top.v > lo.v")
-    return g.select(F.col("top.i").alias("s"), F.col("lo.i").alias("t")).orderBy("s", "t").limit(1)
+    value = F.struct(ordered(df, b).alias("v"), F.col(row_id).alias("i"))
+    groups = _by_value(df, context, a, F.min(value).alias("__lo"), F.max(value).alias("__hi"))
+    g = segscan.prefix_top(groups, context, "__k", "__hi").where("__top.v > __lo.v")
+    return g.select(F.col("__top.i").alias("s"), F.col("__lo.i").alias("t")).orderBy("s", "t").limit(1)
 
 
 def split_count(df: DataFrame, context: Iterable[str], attribute: str) -> DataFrame:

@@ -122,6 +122,24 @@ def test_violation_counts_and_witness(spark):
     assert W.violation_summary(df, Constancy(frozenset(["c"]), "a")).count() == 3
 
 
+@pytest.mark.parametrize("kind", ["int", "double", "string"])
+def test_swaps_of_a_whole_table_in_buckets(spark, kind, monkeypatch):
+    """No context, values that need a dictionary, nulls and both zeros; buckets of two values."""
+    for scan in (segscan.prefix_top, segscan.prefix_exceeds):
+        monkeypatch.setattr(scan, "__defaults__", (2,))
+    made = {"int": lambda n: n, "double": lambda n: -0.0 if n == 4 else n / 2 - 2, "string": lambda n: f"v{n:02d}"}[kind]
+    rows = [(i, None if i % 13 == 5 else made((i * 7) % 11), (i * 5) % 8) for i in range(40)] + [(40, made(4) if kind != "double" else 0.0, 3)]
+    df = spark.createDataFrame(rows, f"id int, a {kind}, b int")
+    first = lambda v: (v is not None, v)
+    before = lambda x, y: y[1] is not None and (x[1] is None or x[1] < y[1])
+    swapped = {first(y[1]) for x in rows for y in rows if before(x, y) and x[2] > y[2]}
+    od = Compat.of([], "a", "b")
+    got = W.violation_summary(df, od).first()
+    assert (got["n_groups"], got["n_swapped"]) == (len({first(r[1]) for r in rows}), len(swapped))
+    s, t = W.witness(df, od, "id").first()
+    assert before(rows[s], rows[t]) and rows[s][2] > rows[t][2]
+
+
 def test_list_baseline(spark, sf_dir):
     cal = R.calendar(spark, sf_dir)
     columns = ["d_date", "d_year", "d_quarter", "d_month"]
