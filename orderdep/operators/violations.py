@@ -34,7 +34,7 @@ def swap_pairs(df: DataFrame, row_id: str, x: Sequence[str], y: Sequence[str], c
     """(s, t): s before t on x and after t on y, both in one class of the context."""
     base = df.select(F.col(row_id).alias("__id"), listed(df, sorted(context)).alias("__c"), listed(df, x).alias("__x"), listed(df, y).alias("__y"))
     groups = base.groupBy("__c", "__x").agg(F.min("__y").alias("__lo"), F.max("__y").alias("__hi"))
-    bad = groups.withColumn("__bad", F.lag("__hi").over(Window.partitionBy("__c").orderBy("__x")) > F.col("__lo")).where("__bad").select("__c").distinct()
+    bad = segscan.prefix_exceeds(with_code(groups, "__x", "__k"), ["__c"], "__k", "__lo", "__hi").where("exceeds").select("__c").distinct()
     rows = base.join(bad, "__c", "left_semi")
     s = rows.select(F.col("__id").alias("s"), "__c", F.col("__x").alias("__xs"), F.col("__y").alias("__ys"))
     t = rows.select(F.col("__id").alias("t"), "__c", F.col("__x").alias("__xt"), F.col("__y").alias("__yt"))
