@@ -11,13 +11,13 @@ from collections.abc import Iterable, Sequence
 from dataclasses import dataclass
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..mapping import compat_part, is_trivial
 from ..model import OD_SCHEMA, Canonical, Compat, Constancy, ListOD, od_row
 from . import segscan
-from .encode import canonical, rank_encode, with_code
+from .encode import SMALL, canonical, rank_encode, with_code
 
 #: Dependencies that one plan of check_many holds.
 PLAN_TASKS = 24
@@ -49,15 +49,22 @@ class ODCheck:
     n_swap_groups: int
 
 
-def list_groups(df: DataFrame, lhs: Sequence[str], rhs: Sequence[str]) -> DataFrame:
-    """One row per value of lhs: its code ``k``, least and greatest rhs, and whether it splits or swaps."""
+def list_groups(df: DataFrame, lhs: Sequence[str], rhs: Sequence[str], small: int = SMALL) -> DataFrame:
+    """One row per value of lhs: least and greatest rhs, and whether it splits or swaps.
+
+    Groups counted to be at most ``small`` are read by one window; more of them by a bucketed scan over their codes.
+    """
     g = df.groupBy(listed(df, lhs).alias("x")).agg(F.min(listed(df, rhs)).alias("lo"), F.max(listed(df, rhs)).alias("hi"))
-    flagged = segscan.prefix_exceeds(with_code(g, "x", "k"), [], "k", "lo", "hi").withColumnRenamed("exceeds", "swap")
+    if g.count() <= small:
+        before = Window.orderBy("x").rowsBetween(Window.unboundedPreceding, -1)
+        flagged = g.withColumn("swap", F.coalesce(F.max("hi").over(before) > F.col("lo"), F.lit(False)))
+    else:
+        flagged = segscan.prefix_exceeds(with_code(g, "x", "k"), [], "k", "lo", "hi").withColumnRenamed("exceeds", "swap").drop("k")
     return flagged.withColumn("split", F.col("lo") != F.col("hi"))
 
 
 def check_list_od(df: DataFrame, lhs: Sequence[str], rhs: Sequence[str]) -> ODCheck:
-    """Directly from the definition, by a bucketed scan over the reduced groups of lhs."""
+    """Directly from the definition, by a scan over the reduced groups of lhs."""
     if not rhs:
         return ODCheck(True, 0, 0)
     r = list_groups(df, lhs, rhs).agg(F.count_if("split").alias("a"), F.count_if("swap").alias("b")).first()

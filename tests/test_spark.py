@@ -122,6 +122,13 @@ def test_violation_counts_and_witness(spark):
     assert W.violation_summary(df, Constancy(frozenset(["c"]), "a")).count() == 3
 
 
+def test_list_groups_in_buckets(spark):
+    df = spark.createDataFrame([(i % 9 or None, (i * 5) % 7, i % 4) for i in range(60)], "a int, b int, c int")
+    for lhs, rhs in ((["a"], ["c"]), (["b", "a"], ["c", "a"]), ([], ["c"])):
+        one, other = (sorted(map(repr, V.list_groups(df, lhs, rhs, small=n).select("x", "lo", "hi", "split", "swap").collect())) for n in (1000, 0))
+        assert one == other
+
+
 @pytest.mark.parametrize("kind", ["int", "double", "string"])
 def test_swaps_of_a_whole_table_in_buckets(spark, kind, monkeypatch):
     """No context, values that need a dictionary, nulls and both zeros; buckets of two values."""
