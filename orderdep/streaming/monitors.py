@@ -80,17 +80,21 @@ def order_monitor(stream: DataFrame, late: str = "1 hour") -> DataFrame:
 
 
 def run_to_table(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Runs a query over all input there is and gives its result: complete mode by a memory table, append mode by
-    Parquet in the shared folder."""
+    """Runs a query over all input there is and gives its result, by Parquet in the shared folder in either mode.  In
+    complete mode each batch writes the whole result so far; the last one counts and the driver holds none."""
     import uuid
 
     spark = df.sparkSession
     place = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     writer = df.writeStream.outputMode(mode).option("checkpointLocation", f"{place}-state").trigger(availableNow=True)
     if mode == "append":
-        q = writer.format("parquet").option("path", place).start()
-        q.awaitTermination()
+        writer.format("parquet").option("path", place).start().awaitTermination()
         return spark.read.schema(df.schema).parquet(place)
-    q = writer.queryName(name := f"{name}_{uuid.uuid4().hex}").format("memory").start()
-    q.awaitTermination()
-    return spark.table(name)
+    last: list[str] = []
+
+    def keep(batch: DataFrame, batch_id: int) -> None:
+        last[:] = [f"{place}/{batch_id}"]
+        batch.write.mode("overwrite").parquet(last[0])
+
+    writer.foreachBatch(keep).start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(*last) if last else spark.createDataFrame([], df.schema)
