@@ -69,3 +69,23 @@ def test_a_joined_relation_is_computed_once(spark):
     df = a.join(spark.range(500).withColumnRenamed("id", "k"), F.col("id") == F.col("k")).select("id", "k", "s")
     assert discover(df, ["id", "k", "s"], validator="spark").fds
     assert seen.value == 500
+
+
+@pytest.mark.parametrize("name, table", [("q_lattice_sizes", "part"), ("q_candidate_counts", "customer"), ("q_map_list_od", "part"), ("q_rw_func_order", "lineitem")])
+def test_queries_read_their_table(spark, tmp_path, name, table):
+    import os
+
+    from orderdep import queries as reference
+
+    for t in ("part", "customer", "orders", "lineitem"):
+        if t != table:
+            os.symlink(f"/root/testdata/sf0.001/{t}.parquet", tmp_path / f"{t}.parquet")
+    with pytest.raises(Exception, match=f"{table}.parquet"):
+        reference.QUERIES[name](spark, str(tmp_path)).collect()
+
+
+def test_complete_streams_leave_their_result_in_the_shared_folder(spark, sf_dir):
+    from orderdep import queries as reference
+
+    got = reference.QUERIES["q_stream_session"](spark, sf_dir)
+    assert any("/session-" in f for f in got.inputFiles()) and got.count() > 0
