@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import own
+from .common import let_go, own
 
 WINDOW = 10
 BLOCK_WORDS = 2_000_000
@@ -213,6 +213,7 @@ def annotate(docs: DataFrame, items: DataFrame, *, window: int = WINDOW, block_w
                 columns[at["spans"]] = pa.array(spans, pa.list_(pa.int32()))
                 columns[at["items"]] = pa.array(found, pa.list_(pa.string()))
                 yield pa.RecordBatch.from_arrays(columns, names=names)
+            let_go()
 
         out = out.mapInArrow(through, out.schema)
     return out.select(*rest, *[own(n) for n in ("text", "n_words", "spans", "items")])
@@ -284,6 +285,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, *, window: int = WINDOW, ma
             out = list(b.columns)[: len(columns)]
             out[at_text] = replaced
             yield pa.RecordBatch.from_arrays(out, names=names[: len(columns)]).filter(pa.array(keep, pa.bool_()))
+        let_go()
 
     schema = a.select(*columns).schema
     return a.mapInArrow(cut, schema)

@@ -24,6 +24,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql.types import ArrayType, StringType, StructField, StructType
 
+from .common import let_go
+
 ROUNDS = 8
 _DIGITS, _LOWER, _UPPER = "0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 
@@ -324,6 +326,7 @@ def pseudonymise(docs: DataFrame, key: bytes, *, kinds_col: str | None = None) -
                 cols.append(pa.array(kinds, pa.list_(pa.string())))
                 names.append(kinds_col)
             yield pa.RecordBatch.from_arrays(cols, names=names)
+        let_go()
 
     schema = docs.schema
     if kinds_col:

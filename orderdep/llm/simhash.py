@@ -20,7 +20,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import own, stored
+from ..storage import shuffles_dropped
+from .common import let_go, own, small_batches, stored
 from .components import components
 
 RADIUS = 3
@@ -150,6 +151,7 @@ def links(nodes: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> D
             held = [x[cut:] for x in now]
         if held and len(held[0]):
             yield batch_of(edges(*held))
+        let_go()
 
     return rows.mapInArrow(meet, "a long, b long")
 
@@ -206,6 +208,17 @@ def sketch(shingles: np.ndarray) -> bytes:
     return ((minima(shingles) * _TIMES[0]) >> np.uint64(56)).astype(np.uint8).tobytes()
 
 
+def fingerprint_entries(nodes: DataFrame) -> DataFrame:
+    """nodes (fp, print, row) -> (entry, place, fp): texts whose fingerprints multi-index hashing links, together or by way of
+    others, have their class for an entry; those alone in their class are left out."""
+    prints = stored(nodes.groupBy(F.col("print").alias("fp")).agg(F.min("row").alias("first_doc"), F.count("*").alias("texts")), "simhash-prints")
+    edges = stored(links(prints.select("fp")), "simhash-edges")
+    known = grouped(prints, edges).join(prints.select("fp", "texts"), "fp")
+    more = known.groupBy("component_id").agg(F.sum("texts").alias("n")).where("n > 1").select("component_id")
+    classes_ = known.join(more, "component_id", "left_semi").select(F.col("fp").alias("print"), "component_id")
+    return nodes.join(classes_, "print").select(F.xxhash64(F.lit("fingerprint"), "component_id").alias("entry"), F.lit(TABLES).alias("place"), "fp")
+
+
 def meeting(entries: DataFrame) -> DataFrame:
     """entries (entry, place, fp) -> those rows that are not alone at their entry, with the one before them there (null for the first)."""
     there = Window.partitionBy("entry").orderBy("fp")
@@ -222,6 +235,7 @@ def shingle_sets(texts: DataFrame, shingle_words: int) -> DataFrame:
                 sets = [shingle_hashes(t.as_py() or b"", shingle_words) for t in b.column(1).slice(at, 256)]
                 columns = [b.column(0).slice(at, 256), pa.array([x.tobytes() for x in sets], pa.binary()), pa.array([sketch(x) for x in sets], pa.binary()), pa.array([x[:LEAST_HASHES].tobytes() for x in sets], pa.binary())]
                 yield pa.RecordBatch.from_arrays(columns, names=["fp", "shingles", "sketch", "low"])
+        let_go()
 
     return texts.select("fp", "text").mapInArrow(hashed, "fp long, shingles binary, sketch binary, low binary")
 
@@ -236,13 +250,19 @@ def resemblance(a: np.ndarray, b: np.ndarray) -> tuple[float, int]:
     return float(twice[first].mean()), len(first)
 
 
+def first_table(same: np.ndarray) -> np.ndarray:
+    """The first table in which the texts of each pair meet by the bytes they share; ``TABLES`` if only their fingerprints do."""
+    met = same.reshape(-1, TABLES, MINIMA).all(2)
+    return np.where(met.any(1), met.argmax(1), TABLES)
+
+
 def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
     """rows (entry, place, fp, root, n, sketch, low) -> pairs (a, b) of an entry with different roots that may resemble.
 
     Sizes, then sketches, then the least hashes must allow ``least``; a pair at ``least`` fails the two estimates with
     probability 2e-7 each at 0.8 (five standard deviations).  Sets that are there as a whole are compared exactly, and
     of their links only those leave an entry that join texts not yet held together.  Nothing else leaves it, and each
-    pair only the entry of the first table in which its texts meet.
+    pair only the entry of the first table in which its texts meet (a class of fingerprints comes after all tables).
     """
     lanes = TABLES * MINIMA
     off = 5 * math.sqrt(least * (1 - least))
@@ -258,7 +278,7 @@ def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
                 some = other[at : at + (1 << 14)]
                 same = marks[some] == marks[i]
                 some, same = (x[same.sum(1) >= agree] for x in (some, same))
-                for j in some[same.reshape(-1, TABLES, MINIMA).all(2).argmax(1) == place].tolist() if len(some) else ():
+                for j in some[first_table(same) == place].tolist() if len(some) else ():
                     if root[i] == root[j]:
                         continue
                     share, of = resemblance(low[i], low[j])
@@ -300,6 +320,7 @@ def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
         if held:
             yield from ended()
         yield batch_of(found)
+        let_go()
 
     return rows.select("entry", "place", "fp", "root", "n", "sketch", "low").repartition("entry").sortWithinPartitions("entry").mapInArrow(run, "a long, b long")
 
@@ -315,6 +336,7 @@ def resembling(edges: DataFrame, sets: DataFrame, least: float) -> DataFrame:
                 both = len(np.intersect1d(x, y, assume_unique=True))
                 keep.append(both >= least * (len(x) + len(y) - both))
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+        let_go()
 
     one = edges.join(sets.select(F.col("fp").alias("a"), F.col("shingles").alias("sa")), "a")
     two = one.join(sets.select(F.col("fp").alias("b"), F.col("shingles").alias("sb")), "b")
@@ -353,13 +375,21 @@ def true_links(met: DataFrame, sets: DataFrame, least: float) -> DataFrame:
 def one_of_each(docs: DataFrame, *, shingle_words: int = SHINGLE_WORDS, least: float = LEAST_SIMILARITY) -> DataFrame:
     """The documents that stay, with their own columns: the one with the smallest doc_id of each group of near duplicates.
 
-    Texts that share some table's entry are candidates; a link holds if the texts share ``least`` of their word shingles.
+    Candidates are texts whose fingerprints over shingles multi-index hashing links, as in ``near_duplicates``; a link holds
+    if the texts share ``least`` of their word shingles.  At ``least`` fingerprints differ in some ten bits, far beyond any
+    radius with small balls, so that texts which share an entry of a table of least shingles are candidates too.
     Texts of the same words in the same order are one node (64-bit hash of all words).  Of several rows with the smallest id one stays; rows without an
     id come last, so one of them stays only where its group has no other.
     """
+    with shuffles_dropped(docs.sparkSession), small_batches(docs.sparkSession):
+        return _one_of_each(docs, shingle_words, least)
+
+
+def _one_of_each(docs: DataFrame, shingle_words: int, least: float) -> DataFrame:
     columns = docs.columns
-    id_, fp, row, at_ = own("id"), own("fp"), own("row"), own("entries")
-    keyed = docs.withColumns({id_: F.coalesce(F.col("doc_id").cast("long"), F.lit((1 << 63) - 1)), fp: F.lit(0).cast("long"), row: F.lit(0).cast("long"), at_: F.array().cast("array<bigint>")})
+    id_, fp, row, at_, print_ = own("id"), own("fp"), own("row"), own("entries"), own("print")
+    zero = F.lit(0).cast("long")
+    keyed = docs.withColumns({id_: F.coalesce(F.col("doc_id").cast("long"), F.lit((1 << 63) - 1)), fp: zero, row: zero, at_: F.array().cast("array<bigint>"), print_: zero})
     at_text, n = columns.index("text"), len(columns)
 
     def marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -370,16 +400,18 @@ def one_of_each(docs: DataFrame, *, shingle_words: int = SHINGLE_WORDS, least: f
             cols[n + 1] = pa.array(np.array([xxhash.xxh3_64_intdigest(shingle_spans(t, 1)[0]) for t in texts], np.uint64).view(np.int64))
             cols[n + 2] = pa.array(range(number, number + len(texts)), pa.int64())
             cols[n + 3] = pa.array([table_entries(shingle_hashes(t, shingle_words)).view(np.int64) for t in texts], pa.list_(pa.int64()))
+            cols[n + 4] = pa.array([fingerprint(t, shingle_words) for t in texts], pa.int64())
             number += len(texts)
             yield pa.RecordBatch.from_arrays(cols, names=b.schema.names)
+        let_go()
 
     base = stored(keyed.mapInArrow(marked, keyed.schema), "simhash-documents")
-    first = F.min(F.struct(id_, row)).alias("first")
-    nodes = stored(base.groupBy(F.col(fp).alias("fp")).agg(first).select("fp", F.col(f"first.{row}").alias("row"), F.col(f"first.{id_}").alias("id")), "simhash-nodes")
+    first = F.min(F.struct(id_, row, print_)).alias("first")
+    nodes = stored(base.groupBy(F.col(fp).alias("fp")).agg(first).select("fp", F.col(f"first.{row}").alias("row"), F.col(f"first.{id_}").alias("id"), F.col(f"first.{print_}").alias("print")), "simhash-nodes")
     entries = base.select(F.col(row).alias("row"), F.col(at_).alias("entries")).join(nodes.select("fp", "row"), "row").select(F.posexplode("entries").alias("place", "entry"), "fp").select("entry", "place", "fp")
-    met = stored(meeting(entries), "simhash-met")
+    met = stored(meeting(entries.union(fingerprint_entries(nodes))), "simhash-met")
     texts = base.select(F.col(row).alias("row"), F.col("text").cast("string").cast("binary").alias("text")).join(nodes.join(met.select("fp").distinct(), "fp", "left_semi"), "row").select("fp", "text")
     true = true_links(met, stored(shingle_sets(texts, shingle_words), "simhash-shingles"), least)
     member = nodes.join(components(true).withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    stays = member.groupBy("root").agg(F.min(F.struct("id", "row")).alias("m")).select(F.col("m.row").alias(row))
+    stays = stored(member.groupBy("root").agg(F.min(F.struct("id", "row")).alias("m")).select(F.col("m.row").alias(row)), "simhash-stays")
     return base.join(stays, row, "left_semi").select(*columns)

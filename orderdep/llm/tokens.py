@@ -8,6 +8,8 @@ from array import array
 
 import numpy as np
 
+from .common import let_go
+
 #: Pieces in a generation of a worker's cache.  A full one becomes the old one, from which pieces still in use come back.
 CACHE_PIECES = 700_000
 #: The same where executors have other work that needs the memory.
@@ -136,8 +138,6 @@ def forget() -> None:
     """Gives the encoders' memory back; for tasks whose executors go on to other work."""
     import gc
 
-    import pyarrow as pa
-
     _encoders.clear()
     gc.collect()
-    pa.default_memory_pool().release_unused()
+    let_go()

@@ -2,6 +2,7 @@
 
 import random
 
+import numpy as np
 import pytest
 
 from orderdep.llm import simhash
@@ -83,3 +84,29 @@ def test_links_that_fail_do_not_hide_true_ones(spark):
             w[at + 30] = f"copy{k}"
             rows.append((rng.randrange(1 << 40), " ".join(w)))
     assert stay(spark, rows) == brute(rows)
+
+
+def test_candidates_come_by_fingerprints(spark, monkeypatch):
+    """Without the tables of least shingles the pairs within the fingerprints' radius are still found, and only these are tested."""
+    rng = random.Random(4)
+    rows = []
+    for k in range(40):
+        w = [f"v{rng.randrange(5000)}" for _ in range(400)]
+        rows += [(k, " ".join(w)), (100 + k, " ".join([*w[:399], "last"]))]
+    near = lambda a, b: ((simhash.fingerprint(a.encode(), 5) ^ simhash.fingerprint(b.encode(), 5)) & (1 << 64) - 1).bit_count() <= simhash.RADIUS
+    linked = [100 + k for k in range(40) if near(rows[2 * k][1], rows[2 * k + 1][1])]
+    assert len(linked) > 20
+    monkeypatch.setattr(simhash, "meeting", lambda entries, f=simhash.meeting: f(entries.where(f"place = {simhash.TABLES}")))
+    assert stay(spark, rows) == sorted({i for i, _ in rows} - set(linked))
+
+
+def test_a_class_of_fingerprints_is_compared_whole(spark, monkeypatch):
+    """Equal fingerprints are candidates, not links; a true link between two of a class is found behind failing ones."""
+    monkeypatch.setattr(simhash, "first_table", lambda same: np.full(len(same), simhash.TABLES))
+    rows = [(k, " ".join(f"{k % 6}a{n + k // 6}" for n in range(200))) for k in range(12)]
+    nodes = spark.createDataFrame([(k, 7, k) for k in range(12)], "fp long, print long, row long")
+    met = simhash.fingerprint_entries(nodes)
+    assert met.select("entry").distinct().count() == 1 and met.count() == 12
+    sets = simhash.shingle_sets(spark.createDataFrame([(k, t.encode()) for k, t in rows], "fp long, text binary"), 5)
+    got = {(r["a"], r["b"]) for r in simhash.true_links(simhash.meeting(met), sets.cache(), 0.8).collect()}
+    assert got == {(k, k + 6) for k in range(6)}
