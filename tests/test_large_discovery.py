@@ -89,3 +89,22 @@ def test_complete_streams_leave_their_result_in_the_shared_folder(spark, sf_dir)
 
     got = reference.QUERIES["q_stream_session"](spark, sf_dir)
     assert any("/session-" in f for f in got.inputFiles()) and got.count() > 0
+
+
+def test_codes_that_come_row_by_row_are_not_stored(spark, sf_dir, monkeypatch):
+    kept = []
+    monkeypatch.setattr(D, "stored", lambda df, label, f=D.stored: kept.append(label) or f(df, label))
+    df = spark.read.parquet(f"{sf_dir}/lineitem.parquet")
+    columns = ["l_orderkey", "l_linenumber", "l_quantity", "l_returnflag", "l_linestatus", "l_tax"]
+    far = discover(df, columns, validator="spark")
+    assert far.ods == discover(df, columns, validator="local").ods and not kept
+    assert not D.row_by_row(df.withColumn("r", F.rand())) and not D.row_by_row(df.distinct()) and not D.row_by_row(df.where("l_tax > 0"))
+
+
+def test_listed_values_keep_order_and_equality(spark):
+    data = [(None, None), (-1.5, "b"), (-0.0, "é"), (0.0, ""), (math.inf, "B"), (math.nan, "Z\U0001f600"), (-math.inf, "b"), (math.nan, "￿")]
+    codes, _, _ = encode.order_codes(spark.createDataFrame(data, "x double, s string").coalesce(1))
+    assert "MapInArrow" not in (plan := codes._jdf.queryExecution().optimizedPlan().toString()) and "Join" not in plan
+    x, s = zip(*[tuple(r) for r in codes.collect()])
+    assert x[0] < x[6] < x[1] < x[2] == x[3] < x[4] < x[5] == x[7]
+    assert s[0] < s[3] < s[4] < s[5] < s[1] == s[6] < s[2] < s[7]
