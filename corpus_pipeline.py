@@ -5,10 +5,12 @@ Every stage takes (spark, docs, sf_dir) and gives a DataFrame; all but the last
 
 from __future__ import annotations
 
+from functools import partial
+
 from pyspark.sql import DataFrame, SparkSession
 
 from orderdep.llm import decontam, packing, pseudonyms, robust_rules, simhash
-from orderdep.llm.common import stored, table
+from orderdep.llm.common import discard, result_of, table
 from orderdep.llm.queries import EXAMPLE_KEY
 from orderdep.llm.tokens import tokenizer_path
 
@@ -48,5 +50,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = stored(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        before, docs = docs, result_of(partial(stage, spark, docs, sf_dir), spark, f"pipeline-{name}")
+        if name != STAGES[0][0]:  # the given table stays
+            discard(before)
     return STAGES[-1][1](spark, docs, sf_dir)

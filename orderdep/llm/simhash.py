@@ -11,7 +11,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from itertools import combinations
+from itertools import combinations, islice
 
 import numpy as np
 import pyarrow as pa
@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..storage import shuffles_dropped
-from .common import let_go, own, small_batches, stored
+from .common import let_go, own, result_of, small_batches, stored
 from .components import components
 
 RADIUS = 3
@@ -184,6 +184,8 @@ TABLES, MINIMA = 32, 4
 LEAST_HASHES = 256
 #: Further orders in which neighbours at an entry are tested before all pairs that are left.
 CHAINS = 1
+#: Words of 64 bits up to which ``picked`` sends its bitmap to all executors: a bit a row, 67 million rows.
+MOST_WORDS = 1 << 20
 _DRAWN = np.random.Generator(np.random.PCG64(42)).integers(0, 1 << 64, (2, TABLES * MINIMA, 1), np.uint64)
 _TIMES, _PLUS = _DRAWN[0] | np.uint64(1), _DRAWN[1]
 _TIED = np.random.Generator(np.random.PCG64(43)).integers(0, 1 << 64, (TABLES, MINIMA), np.uint64) | np.uint64(1)
@@ -227,17 +229,17 @@ def meeting(entries: DataFrame) -> DataFrame:
 
 
 def shingle_sets(texts: DataFrame, shingle_words: int) -> DataFrame:
-    """texts (fp, text binary) -> (fp, shingles binary, sketch binary, low binary: the least hashes)."""
+    """texts (fp, text binary) -> (fp, n long: size of the shingle set, sketch binary, low binary: the least hashes, text)."""
 
     def hashed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 sets = [shingle_hashes(t.as_py() or b"", shingle_words) for t in b.column(1).slice(at, 256)]
-                columns = [b.column(0).slice(at, 256), pa.array([x.tobytes() for x in sets], pa.binary()), pa.array([sketch(x) for x in sets], pa.binary()), pa.array([x[:LEAST_HASHES].tobytes() for x in sets], pa.binary())]
-                yield pa.RecordBatch.from_arrays(columns, names=["fp", "shingles", "sketch", "low"])
+                columns = [b.column(0).slice(at, 256), pa.array([len(x) for x in sets], pa.int64()), pa.array([sketch(x) for x in sets], pa.binary()), pa.array([x[:LEAST_HASHES].tobytes() for x in sets], pa.binary()), b.column(1).slice(at, 256)]
+                yield pa.RecordBatch.from_arrays(columns, names=["fp", "n", "sketch", "low", "text"])
         let_go()
 
-    return texts.select("fp", "text").mapInArrow(hashed, "fp long, shingles binary, sketch binary, low binary")
+    return texts.select("fp", "text").mapInArrow(hashed, "fp long, n long, sketch binary, low binary, text binary")
 
 
 def resemblance(a: np.ndarray, b: np.ndarray) -> tuple[float, int]:
@@ -256,11 +258,12 @@ def first_table(same: np.ndarray) -> np.ndarray:
     return np.where(met.any(1), met.argmax(1), TABLES)
 
 
-def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
-    """rows (entry, place, fp, root, n, sketch, low) -> pairs (a, b) of an entry with different roots that may resemble.
+def likely_pairs(rows: DataFrame, size: DataFrame, least: float) -> DataFrame:
+    """rows (entry, place, fp, root), size (fp, n, sketch, low) -> pairs (a, b) of an entry with different roots that may resemble.
 
     Sizes, then sketches, then the least hashes must allow ``least``; a pair at ``least`` fails the two estimates with
-    probability 2e-7 each at 0.8 (five standard deviations).  Sets that are there as a whole are compared exactly, and
+    probability 2e-7 each at 0.8 (five standard deviations).  Sketches go to all rows of an entry, the least hashes only to those
+    whose sketch fits another's there.  Sets that are there as a whole are compared exactly, and
     of their links only those leave an entry that join texts not yet held together.  Nothing else leaves it, and each
     pair only the entry of the first table in which its texts meet (a class of fingerprints comes after all tables).
     """
@@ -268,17 +271,35 @@ def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
     off = 5 * math.sqrt(least * (1 - least))
     agree = math.floor(lanes * (least - off / math.sqrt(lanes)))
 
+    def fitting(place: int, marks: np.ndarray, i: int, other: np.ndarray) -> Iterator[np.ndarray]:
+        """Those of ``other`` whose sketches fit that of i, in parts."""
+        for at in range(0, len(other), 1 << 14):
+            some = other[at : at + (1 << 14)]
+            same = marks[some] == marks[i]
+            some, same = (x[same.sum(1) >= agree] for x in (some, same))
+            if len(some):
+                yield some[first_table(same) == place]
+
+    def fit(place: int, fp: np.ndarray, root: np.ndarray, n: np.ndarray, marks: np.ndarray) -> np.ndarray:
+        turn = np.argsort(n, kind="stable")
+        fp, root, n, marks = fp[turn], root[turn], n[turn], marks[turn]
+        end = np.searchsorted(n, n / least, side="right")
+        fits = np.zeros(len(fp), bool)
+        for i in range(len(fp) - 1):
+            other = np.flatnonzero((root[i + 1 : end[i]] != root[i]) & ~(fits[i] & fits[i + 1 : end[i]])) + i + 1
+            for some in fitting(place, marks, i, other):
+                fits[some] = True
+                fits[i] |= len(some) > 0
+        return fp[fits]
+
     def pairs(place: int, fp: np.ndarray, root: np.ndarray, n: np.ndarray, marks: np.ndarray, low: np.ndarray) -> Iterator[tuple[int, int]]:
         turn = np.argsort(n, kind="stable")
         fp, root, n, marks, low = fp[turn], root[turn], n[turn], marks[turn], low[turn]
         end = np.searchsorted(n, n / least, side="right")
         for i in range(len(fp) - 1):
             other = np.flatnonzero(root[i + 1 : end[i]] != root[i]) + i + 1
-            for at in range(0, len(other), 1 << 14):
-                some = other[at : at + (1 << 14)]
-                same = marks[some] == marks[i]
-                some, same = (x[same.sum(1) >= agree] for x in (some, same))
-                for j in some[first_table(same) == place].tolist() if len(some) else ():
+            for some in fitting(place, marks, i, other):
+                for j in some.tolist():
                     if root[i] == root[j]:
                         continue
                     share, of = resemblance(low[i], low[j])
@@ -289,61 +310,74 @@ def likely_pairs(rows: DataFrame, least: float) -> DataFrame:
                         root[root == root[j]] = root[i]
                     yield min(int(fp[i]), int(fp[j])), max(int(fp[i]), int(fp[j]))
 
-    def batch_of(found: list[tuple[int, int]]) -> pa.RecordBatch:
-        both = np.array(found, np.int64).reshape(-1, 2)
-        return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["a", "b"])
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def entries_of(batches: Iterator[pa.RecordBatch]) -> Iterator[list[np.ndarray]]:
+        """The columns of each entry: entry, place, fp, root, n, sketches as rows of bytes, least hashes if they are there."""
         held: list[list[np.ndarray]] = []
-        found: list[tuple[int, int]] = []
-
-        def ended() -> Iterator[pa.RecordBatch]:
-            entry, place, fp, root, n, marks, low = (np.concatenate(x) for x in zip(*held))
-            held.clear()
-            for pair in pairs(int(place[0]), fp, root, n, marks, low):
-                found.append(pair)
-                if len(found) >= 1 << 16:
-                    yield batch_of(found)
-                    found.clear()
-
         for b in batches:
+            if not b.num_rows:
+                continue
             now = [b.column(k).to_numpy() for k in range(5)]
             now.append(np.frombuffer(b"".join(b.column(5).to_pylist()), np.uint8).reshape(-1, lanes))
-            low = np.empty(len(now[0]), object)
-            low[:] = [np.frombuffer(x, np.uint64) for x in b.column(6).to_pylist()]
-            now.append(low)
+            if b.num_columns > 6:
+                low = np.empty(len(now[0]), object)
+                low[:] = [np.frombuffer(x, np.uint64) for x in b.column(6).to_pylist()]
+                now.append(low)
             cuts = [0, *(np.flatnonzero(now[0][1:] != now[0][:-1]) + 1).tolist(), len(now[0])]
             for x, y in zip(cuts, cuts[1:]):
                 if held and held[0][0][0] != now[0][x]:
-                    yield from ended()
+                    yield [np.concatenate(c) for c in zip(*held)]
+                    held.clear()
                 held.append([c[x:y].copy() for c in now])
         if held:
-            yield from ended()
-        yield batch_of(found)
+            yield [np.concatenate(c) for c in zip(*held)]
+
+    def batch_of(found: list[tuple[int, int]], names: list[str]) -> pa.RecordBatch:
+        both = np.array(found, np.int64).reshape(-1, 2)
+        return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=names)
+
+    def in_batches(found: Iterator[tuple[int, int]], names: list[str]) -> Iterator[pa.RecordBatch]:
+        while some := list(islice(found, 1 << 16)):
+            yield batch_of(some, names)
         let_go()
 
-    return rows.select("entry", "place", "fp", "root", "n", "sketch", "low").repartition("entry").sortWithinPartitions("entry").mapInArrow(run, "a long, b long")
+    def fits_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        return in_batches(((int(entry[0]), x) for entry, place, *rest in entries_of(batches) for x in fit(int(place[0]), *rest).tolist()), ["entry", "fp"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        return in_batches((pair for _, place, *rest in entries_of(batches) for pair in pairs(int(place[0]), *rest)), ["a", "b"])
+
+    def dealt(df: DataFrame, *more: str) -> DataFrame:
+        return df.select("entry", "place", "fp", "root", "n", "sketch", *more).repartition("entry").sortWithinPartitions("entry")
 
+    fits = stored(dealt(rows.join(size.select("fp", "n", "sketch"), "fp")).mapInArrow(fits_of, "entry long, fp long"), "simhash-fits")
+    return dealt(rows.join(fits, ["entry", "fp"], "left_semi").join(size, "fp"), "low").mapInArrow(run, "a long, b long")
 
-def resembling(edges: DataFrame, sets: DataFrame, least: float) -> DataFrame:
-    """edges (a, b) whose sets (fp, shingles) have at least ``least`` of their shingles in common (Jaccard)."""
+
+def resembling(edges: DataFrame, sets: DataFrame, least: float, shingle_words: int = SHINGLE_WORDS) -> DataFrame:
+    """edges (a, b) whose texts (fp, text) have at least ``least`` of their shingles in common (Jaccard).
+
+    Texts travel, not their sets: a set has 8 bytes for each word of the text, and they do not compress.
+    """
 
     def alike(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, y = None, np.empty(0, np.uint64)
         for b in batches:
             keep = []
-            for x, y in zip(b.column(2), b.column(3)):
-                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
+            for fp, one, two in zip(b.column(1).to_pylist(), b.column(2), b.column(3)):
+                if fp != last:  # rows come by b
+                    last, y = fp, shingle_hashes(two.as_py() or b"", shingle_words)
+                x = shingle_hashes(one.as_py() or b"", shingle_words)
                 both = len(np.intersect1d(x, y, assume_unique=True))
                 keep.append(both >= least * (len(x) + len(y) - both))
             yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
         let_go()
 
-    one = edges.join(sets.select(F.col("fp").alias("a"), F.col("shingles").alias("sa")), "a")
-    two = one.join(sets.select(F.col("fp").alias("b"), F.col("shingles").alias("sb")), "b")
-    return two.select("a", "b", "sa", "sb").mapInArrow(alike, "a long, b long")
+    one = edges.join(sets.select(F.col("fp").alias("a"), F.col("text").alias("ta")), "a")
+    two = one.join(sets.select(F.col("fp").alias("b"), F.col("text").alias("tb")), "b")
+    return two.select("a", "b", "ta", "tb").mapInArrow(alike, "a long, b long")
 
 
-def true_links(met: DataFrame, sets: DataFrame, least: float) -> DataFrame:
+def true_links(met: DataFrame, sets: DataFrame, least: float, shingle_words: int = SHINGLE_WORDS) -> DataFrame:
     """met (entry, place, fp, before) -> edges (a, b) with the components that testing every pair of every entry would give.
 
     Neighbours at an entry are tested first, then neighbours in other orders that the links found so far do not hold
@@ -351,23 +385,23 @@ def true_links(met: DataFrame, sets: DataFrame, least: float) -> DataFrame:
     and texts that meet without being copies are compared by sketches inside their entry.
     """
     edges = stored(met.where("before is not null").select(F.col("before").alias("a"), F.col("fp").alias("b")).distinct(), "simhash-links")
-    tested, true = edges, stored(resembling(edges, sets, least), "simhash-true")
+    size = sets.select("fp", "n", "sketch", "low")
+    tested, true = edges, stored(resembling(edges, sets, least, shingle_words), "simhash-true")
     for turn in range(CHAINS + 1):
         roots = components(true).withColumnRenamed("node", "fp")
         rows = met.select("entry", "place", "fp").join(roots, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
         split = rows.groupBy("entry").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("entry")
         rows = rows.join(split, "entry", "left_semi")
-        size = sets.select("fp", F.length("shingles").alias("n"), "sketch", "low")
         if turn < CHAINS:
             there = Window.partitionBy("entry").orderBy(F.xxhash64("fp", F.lit(turn)))
             pairs = rows.withColumns({"a": F.lag("fp").over(there), "ra": F.lag("root").over(there)}).where("ra <> root").select(F.least("a", "fp").alias("a"), F.greatest("a", "fp").alias("b"))
         else:
-            pairs = likely_pairs(rows.join(size, "fp"), least)
+            pairs = likely_pairs(rows, size, least)
         # a set of under ``least`` of another's size cannot share that much with it
         new = pairs.distinct().join(tested, ["a", "b"], "left_anti").join(size.selectExpr("fp AS a", "n AS na"), "a").join(size.selectExpr("fp AS b", "n AS nb"), "b")
         edges = stored(new.where(F.least("na", "nb") >= F.greatest("na", "nb") * least).select("a", "b"), "simhash-links")
         if not edges.isEmpty():
-            true = stored(true.union(resembling(edges, sets, least)), "simhash-true")
+            true = stored(true.union(resembling(edges, sets, least, shingle_words)), "simhash-true")
             tested = tested.union(edges)
     return true
 
@@ -382,7 +416,17 @@ def one_of_each(docs: DataFrame, *, shingle_words: int = SHINGLE_WORDS, least: f
     id come last, so one of them stays only where its group has no other.
     """
     with shuffles_dropped(docs.sparkSession), small_batches(docs.sparkSession):
-        return _one_of_each(docs, shingle_words, least)
+        return result_of(lambda: _one_of_each(docs, shingle_words, least), docs.sparkSession, "simhash-kept")
+
+
+def picked(df: DataFrame, row: str, rows: DataFrame) -> DataFrame:
+    """The rows of df whose number (column ``row``) is one of ``rows`` (row), by a bitmap of the numbers, so that texts do not move."""
+    word, bits = own("word"), own("bits")
+    bitmap = rows.select(F.expr("row >> 6").alias(word), F.expr("shiftleft(1L, CAST(row & 63 AS INT))").alias("bit"))
+    bitmap = stored(bitmap.groupBy(word).agg(F.bit_or("bit").alias(bits)), "simhash-bitmap")
+    bitmap = F.broadcast(bitmap) if bitmap.limit(MOST_WORDS + 1).count() <= MOST_WORDS else bitmap
+    there = df.withColumn(word, F.expr(f"{row} >> 6")).join(bitmap, word)
+    return there.where(f"shiftright({bits}, CAST({row} & 63 AS INT)) & 1 = 1").select(*df.columns)
 
 
 def _one_of_each(docs: DataFrame, shingle_words: int, least: float) -> DataFrame:
@@ -408,10 +452,12 @@ def _one_of_each(docs: DataFrame, shingle_words: int, least: float) -> DataFrame
     base = stored(keyed.mapInArrow(marked, keyed.schema), "simhash-documents")
     first = F.min(F.struct(id_, row, print_)).alias("first")
     nodes = stored(base.groupBy(F.col(fp).alias("fp")).agg(first).select("fp", F.col(f"first.{row}").alias("row"), F.col(f"first.{id_}").alias("id"), F.col(f"first.{print_}").alias("print")), "simhash-nodes")
-    entries = base.select(F.col(row).alias("row"), F.col(at_).alias("entries")).join(nodes.select("fp", "row"), "row").select(F.posexplode("entries").alias("place", "entry"), "fp").select("entry", "place", "fp")
+    firsts = picked(base.select(row, fp, at_), row, nodes.select("row"))
+    entries = firsts.select(F.posexplode(at_).alias("place", "entry"), F.col(fp).alias("fp")).select("entry", "place", "fp")
     met = stored(meeting(entries.union(fingerprint_entries(nodes))), "simhash-met")
-    texts = base.select(F.col(row).alias("row"), F.col("text").cast("string").cast("binary").alias("text")).join(nodes.join(met.select("fp").distinct(), "fp", "left_semi"), "row").select("fp", "text")
-    true = true_links(met, stored(shingle_sets(texts, shingle_words), "simhash-shingles"), least)
+    texts = picked(base.select(row, fp, "text"), row, nodes.join(met.select("fp").distinct(), "fp", "left_semi").select("row"))
+    texts = texts.select(F.col(fp).alias("fp"), F.col("text").cast("string").cast("binary").alias("text"))
+    true = true_links(met, stored(shingle_sets(texts, shingle_words), "simhash-shingles"), least, shingle_words)
     member = nodes.join(components(true).withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    stays = stored(member.groupBy("root").agg(F.min(F.struct("id", "row")).alias("m")).select(F.col("m.row").alias(row)), "simhash-stays")
-    return base.join(stays, row, "left_semi").select(*columns)
+    stays = stored(member.groupBy("root").agg(F.min(F.struct("id", "row")).alias("m")).select("m.row"), "simhash-stays")
+    return picked(base, row, stays).select(*columns)
