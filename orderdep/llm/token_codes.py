@@ -25,12 +25,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import own, stored
+from .common import let_go, own, small_batches, stored
 from .tokens import encoder
 
 CHUNK_BITS = 8
 BLOCK_BITS = 512
 SEGMENT_TOKENS = 1 << 20
+#: Bytes of texts that a batch sent to a Python worker has before it is closed.
+BATCH_BYTES = 4 << 20
 _HEAD = struct.Struct("<4sHHQQ")
 _LEVEL = struct.Struct("<QQQ")
 _MAGIC = b"DACS"
@@ -139,6 +141,8 @@ def encode_segments(docs: DataFrame, tokenizer_file: str, end_id: int, *, segmen
                     seq, start, held, names, parts = seq + 1, start + held, 0, [], []
         if names:
             yield flush()
+        del parts
+        let_go()
 
     return ordered.select("doc_id", F.col("text").cast("string").alias("text")).mapInArrow(segments, SEGMENTS)
 
@@ -167,4 +171,5 @@ def document_digests(segments: DataFrame) -> DataFrame:
 
 def written(docs: DataFrame, tokenizer_file: str, end_id: int) -> DataFrame:
     """Segments written to the shared folder and opened again."""
-    return stored(encode_segments(docs, tokenizer_file, end_id), "token-codes", codec="none")
+    with small_batches(docs.sparkSession, size=BATCH_BYTES):
+        return stored(encode_segments(docs, tokenizer_file, end_id), "token-codes", codec="none")

@@ -11,7 +11,8 @@ import numpy as np
 from .common import let_go
 
 #: Pieces in a generation of a worker's cache.  A full one becomes the old one, from which pieces still in use come back.
-CACHE_PIECES = 700_000
+#: Python's dict holds two thirds of a power of two before its table doubles; this stays just below (699,050).
+CACHE_PIECES = 699_000
 #: The same where executors have other work that needs the memory.
 FEW_PIECES = 250_000
 _LONG = 48
@@ -71,6 +72,7 @@ class _Pieces(dict):
             ids = self._ids(piece)
         if len(piece) <= _LONG:
             if len(self) >= self.most:
+                self.old = {}  # before the copy, which would else stand beside two generations
                 self.old = dict(self)
                 self.clear()
             self[piece] = ids
