@@ -8,6 +8,8 @@ import pyarrow as pa
 from orderdep.llm import common, token_codes, tokens
 from orderdep.llm.tokens import tokenizer_path
 
+ROWS, BYTES = (f"spark.sql.execution.arrow.max{x}PerBatch" for x in ("Records", "Bytes"))
+
 
 def batch_sizes(docs, *_):
     def sizes(batches):
@@ -19,25 +21,24 @@ def batch_sizes(docs, *_):
 
 def test_texts_come_in_small_batches(spark, monkeypatch):
     monkeypatch.setattr(token_codes, "encode_segments", batch_sizes)
-    confs = [common._BATCH, common._BATCH_BYTES]
-    before = [spark.conf.get(c) for c in confs]
+    before = [spark.conf.get(c) for c in (ROWS, BYTES)]
     short = spark.range(0, 5000, 1, 1).selectExpr("id AS doc_id", "'a' AS text")
     long = spark.range(0, 900, 1, 1).selectExpr("id AS doc_id", "repeat('word ', 20000) AS text")
     for docs, rows in ((short, 5000), (long, 900)):
         got = token_codes.written(docs, "", 2).collect()
         assert sum(r["n"] for r in got) == rows
         assert max(r["n"] for r in got) <= 1000 and max(r["size"] for r in got) <= token_codes.BATCH_BYTES + 200_000
-    assert [spark.conf.get(c) for c in confs] == before
+    assert [spark.conf.get(c) for c in (ROWS, BYTES)] == before
 
 
 def test_settings_of_the_session_come_back(spark):
-    spark.conf.set(common._BATCH_BYTES, "9000000")
+    spark.conf.set(BYTES, "9000000")
     try:
         with common.small_batches(spark, size=1 << 20):
-            assert spark.conf.get(common._BATCH_BYTES) == "1048576"
-        assert spark.conf.get(common._BATCH_BYTES) == "9000000"
+            assert spark.conf.get(BYTES) == "1048576"
+        assert spark.conf.get(BYTES) == "9000000"
     finally:
-        spark.conf.unset(common._BATCH_BYTES)
+        spark.conf.unset(BYTES)
 
 
 def test_a_full_generation_fits_its_table():
