@@ -8,7 +8,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from orderdep.discovery import verdicts as D
-from orderdep.discovery.discover import discover
+from orderdep.discovery.discover import discover, search
+from orderdep.discovery.measures import job_costs
 from orderdep.operators import encode, segscan
 
 
@@ -126,3 +127,69 @@ def test_flight_rows_without_wide_joins(spark, sf_dir, tmp_path, lost):
     want = R.flightlike(spark, str(tmp_path)).select(*R.FLIGHTLIKE_10).distinct()
     assert got.distinct().exceptAll(want).isEmpty() and want.exceptAll(got.distinct()).isEmpty() and got.schema == want.schema
     assert lost or "Join" not in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+def crowded(spark, times=1):
+    """Three columns of many values, of which two nearly name a row, and two of few; rows come several times."""
+    r = random.Random(11)
+    data = [(r.randrange(700), r.randrange(600), r.randrange(500), r.randrange(9), r.randrange(7)) for _ in range(6000)]
+    return spark.createDataFrame([(a, b, c, d, e, a % 50, b // 20) for a, b, c, d, e in data] * times, "a int, b int, c int, d int, e int, f int, g int")
+
+
+@pytest.mark.parametrize("times, cells", [(1, 3_000), (1, 100), (2, 30_000)])
+def test_crowded_rows_answer_for_contexts_above(spark, monkeypatch, times, cells):
+    """A job for each context took 54 jobs here; also right where the samples mislead as rows come twice."""
+    monkeypatch.setattr(D, "FEW_CLASSES", 100)
+    monkeypatch.setattr(D, "MANY_VALUES", 100)
+    monkeypatch.setattr(D, "CROWDED_CELLS", cells)
+    df = crowded(spark, times).cache()
+    near = discover(df, validator="local")
+    v = D.verdicts(df, df.columns, "spark")
+    group = f"crowded-{times}-{cells}"
+    spark.sparkContext.setJobGroup(group, group)
+    try:
+        far = search(v, df.columns)
+    finally:
+        spark.sparkContext._jsc.sc().clearJobGroup()
+    assert far.ods == near.ods and len(far.ods) > 20
+    assert bool(v.fetched) == (times == 1)
+    assert job_costs(spark, group)["jobs"] < 45
+    assert all(rows.rows * len(df.columns) <= 2 * cells for rows in v.fetched.values())
+    df.unpersist()
+
+
+def test_one_deal_of_the_rows_answers_for_contexts_with_a_part_in_common(spark):
+    df = crowded(spark)
+    v = D.verdicts(df, df.columns, "spark", falsify=False)
+    near = D.verdicts(df, df.columns, "local", falsify=False)
+    mask = lambda names: sum(1 << "abcdefg".index(n) for n in names)
+    tasks = [(mask(c), *["abcdefg".index(x) for x in rest]) for c, *rest in (("a", "f"), ("ab", "c"), ("ac", "b", "d"), ("ad", "f"), ("ab", "d", "e"), ("bc", "g"), ("bc", "a", "e"), ("abcde", "f", "g"))]
+    assert {base: sorted(own) for base, own in v._bases({t[0] for t in tasks}).items()} == {mask("a"): sorted(map(mask, ["a", "ab", "ac", "ad", "abcde"])), mask("bc"): [mask("bc")]}
+    assert v._apart(tasks) == [near.constant([t])[0] if len(t) == 2 else near.compatible([t])[0] for t in tasks]
+
+
+@pytest.mark.parametrize("scale", [1, 1 << 40])
+def test_sorted_numbers_find_swaps(scale):
+    """Codes of any size: three of them go into one number where it holds them."""
+    import numpy as np
+
+    draw = np.random.Generator(np.random.PCG64(3))
+    for rows in (0, 1, 2, 5, 9):
+        for _ in range(60):
+            c, x, y = (draw.integers(0, 3, rows) for _ in range(3))
+            swaps = any(c[i] == c[j] and x[i] < x[j] and y[i] > y[j] for i in range(rows) for j in range(rows))
+            v = D.LocalVerdicts([c, x * scale, y * scale], rows)
+            assert v.compatible([(1, 1, 2)]) == [not swaps]
+
+
+def test_ranks_of_columns():
+    import datetime as t
+    from decimal import Decimal
+
+    import pyarrow as pa
+
+    for values, kind in (([2.5, None, math.nan, -0.0, 0.0, -math.inf, math.nan], pa.float64()), (["b", "", None, "é", "b"], pa.string()), ([True, None, False], pa.bool_()), ([t.date(2020, 1, 2), None, t.date(1960, 1, 1)], pa.date32()), ([Decimal("1.50"), Decimal("-2.00"), None], pa.decimal128(9, 2)), ([None, None], pa.int64()), ([], pa.string())):
+        key = lambda x: (x is not None, x != x, 0 if x is None or x != x else x)
+        steps = sorted({key(x) for x in values})
+        for column in (pa.chunked_array([pa.array(values, kind)]), pa.chunked_array([pa.array(values[:1], kind), pa.array(values[1:], kind)])):
+            assert list(D.dense(column)) == [steps.index(key(x)) for x in values]
